@@ -43,8 +43,9 @@ OWN = CLASSES * (SLOTS - 1)
 #: Codes of a history's words: own slots, rests, and the text's start.
 START = OWN + CLASSES
 CODES = START + 1
-#: Rows of each hashed table of weights, gradient rounds, step size, and how many sightings halve a row's step.
-ROWS, ROUNDS, STEP, DAMP = 1 << 15, 10, 1.0, 4.0
+#: Rows of each hashed table of weights, gradient rounds, tasks that share them out (the histories are bounded, so few are enough), step size, and
+#: how many sightings halve a row's step.
+ROWS, ROUNDS, TASKS, STEP, DAMP = 1 << 14, 8, 4, 1.0, 4.0
 #: Tokens in a batch, and weight rows sent together.
 BATCH, CHUNK = 200_000, 64
 
@@ -272,7 +273,7 @@ def train(table: DataFrame, rounds: int = ROUNDS) -> list[np.ndarray]:
             if chunk is not None:
                 yield row()
 
-        sent = table.mapInArrow(run, "chunk int, task int, slope binary, met binary")
+        sent = table.coalesce(TASKS).mapInArrow(run, "chunk int, task int, slope binary, met binary")
         summed = sent.repartition("chunk").sortWithinPartitions("chunk", "task").mapInArrow(add, "chunk int, change binary")
         weights = [w.copy() for w in now]
         for r in summed.collect():  # at most the weights' own size
