@@ -49,6 +49,11 @@ def words_col(text: Column) -> Column:
     return F.filter(F.split(F.coalesce(text, F.lit("")), BLANK), lambda w: w != "")
 
 
+def let(value: Column, body) -> Column:
+    """body of a value that is computed once: lambdas evaluate what they capture again for each element."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
 def byte_words(text: str | None) -> list[bytes]:
     """The words of a text in UTF-8: bytes.split() parts at exactly the six ASCII blanks."""
     return (text or "").encode("utf-8", "surrogatepass").split()

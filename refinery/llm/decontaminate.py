@@ -19,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from refinery.llm.common import MIN_SIMILARITY, SHINGLE_WORDS, stage, words_col
+from refinery.llm.common import MIN_SIMILARITY, SHINGLE_WORDS, let, stage, words_col
 
 #: Greatest Hamming distance of fingerprints; bits in a block of RADIUS + 1; anchors that may be broadcast (16 bytes each).
 RADIUS, BITS, BROADCAST_ROWS = 15, 64, 500_000
@@ -27,12 +27,15 @@ RADIUS, BITS, BROADCAST_ROWS = 15, 64, 500_000
 
 def shingles(words: Column, width: int) -> Column:
     """64-bit hashes of the windows of `width` words, in order; none for a shorter text."""
-    n = F.size(words) - (width - 1)
-    return F.when(n > 0, F.transform(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: F.xxhash64(F.slice(words, i, width)))).otherwise(F.array().cast("array<bigint>"))
+    of = lambda w: F.transform(F.sequence(F.lit(1), F.size(w) - (width - 1)), lambda i: F.xxhash64(F.slice(w, i, width)))
+    return let(words, lambda w: F.when(F.size(w) >= width, of(w)).otherwise(F.array().cast("array<bigint>")))
 
 
 def simhash(words: Column) -> Column:
-    hashes = F.transform(words, lambda w: F.xxhash64(w))
+    return let(F.transform(words, lambda w: F.xxhash64(w)), _signs)
+
+
+def _signs(hashes: Column) -> Column:
     bit = lambda h, b: F.call_function("shiftrightunsigned", h, b).bitwiseAND(F.lit(1).cast("long"))
     signs = F.transform(F.sequence(F.lit(0), F.lit(BITS - 1)), lambda b: F.when(F.aggregate(hashes, F.lit(0).cast("long"), lambda a, h: a + bit(h, b) * 2 - 1) > 0, F.call_function("shiftleft", F.lit(1).cast("long"), b)).otherwise(F.lit(0).cast("long")))
     return F.aggregate(signs, F.lit(0).cast("long"), lambda a, s: a.bitwiseOR(s))
@@ -47,6 +50,10 @@ def blocks(print_: Column, radius: int = RADIUS) -> Column:
 
 def weighted_similarity(a: Column, b: Column) -> Column:
     """Lesser over greater multiplicities, summed over the shingles of two arrays."""
+    return let(a, lambda x: let(b, lambda y: _weighted(x, y)))
+
+
+def _weighted(a: Column, b: Column) -> Column:
     count = lambda xs, x: F.size(F.filter(xs, lambda y: y == x))
     both = F.aggregate(F.array_intersect(a, b), F.lit(0), lambda s, x: s + F.least(count(a, x), count(b, x)))
     return both / (F.size(a) + F.size(b) - both)
