@@ -85,7 +85,9 @@ def extract_tables(df: DataFrame) -> DataFrame:
     if source == "html":
         found = F.regexp_extract_all("html", F.lit(r"(?is)<table\b.*?</table\s*>"), F.lit(0))
     else:
-        found = F.regexp_extract_all("text", F.lit(r"(?:[^\n|]*\|[^\n|]*\|[^\n]*(?:\n|$))+"), F.lit(0))
+        # lines of fewer than three cells become a mark, and the text is cut at the marks
+        marked = F.transform(F.split("text", "\n"), lambda x: F.when(F.size(F.split(x, "[|]")) >= 3, x).otherwise(F.lit("\x01")))
+        found = F.transform(F.split(F.array_join(marked, "\n"), "\x01"), lambda x: F.regexp_replace(x, r"^\n+|\n+$", ""))
     return df.select("id", F.posexplode(F.filter(found, lambda t: t != "")).alias("table_no", "table"))
 
 
