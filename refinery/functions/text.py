@@ -6,6 +6,11 @@ from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 
+def let(value: Column, body) -> Column:
+    """body of a value that is computed once: a lambda computes what it captures again for each element."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
 def words(text: Column) -> Column:
     return F.filter(F.split(F.coalesce(text, F.lit("")), r"\s+"), lambda w: w != "")
 
@@ -29,10 +34,12 @@ def chars(text: Column) -> Column:
 
 def shannon_entropy(text: Column) -> Column:
     """Bits per character: minus the sum of p log2 p over its characters. Null for null, 0 for empty."""
-    n = F.length(text)
-    share = lambda c: F.size(F.filter(chars(text), lambda x: x == c)) / n
-    bits = F.aggregate(F.array_sort(F.array_distinct(chars(text))), F.lit(0.0), lambda a, c: a - share(c) * F.log2(share(c)))
-    return F.when(n > 0, bits).otherwise(F.when(text.isNotNull(), F.lit(0.0)))
+
+    def bits(c: Column) -> Column:
+        share = lambda x: F.size(F.filter(c, lambda y: y == x)) / F.size(c)
+        return F.aggregate(F.array_sort(F.array_distinct(c)), F.lit(0.0), lambda a, x: a - share(x) * F.log2(share(x)))
+
+    return F.when(F.length(text) > 0, let(chars(text), bits)).otherwise(F.when(text.isNotNull(), F.lit(0.0)))
 
 
 def luhn(digits: Column) -> Column:
@@ -43,7 +50,9 @@ def luhn(digits: Column) -> Column:
 
 def char_ngrams(text: Column, n: int) -> Column:
     """Distinct character n-grams; a shorter text is one gram."""
-    return F.when(F.length(text) <= n, F.array(text)).otherwise(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.length(text) - (n - 1), F.lit(1))), lambda i: F.substr(text, i, F.lit(n)))))
+    c = chars(text)
+    grams = lambda c: F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(c) - (n - 1), F.lit(1))), lambda i: F.array_join(F.slice(c, i, n), "")))
+    return let(c, grams)
 
 
 def jaccard(a: Column, b: Column) -> Column:
@@ -112,22 +121,24 @@ def sentences(text: Column) -> Column:
 
 def word_ngrams(text: Column, n: int) -> Column:
     """Distinct lower-cased word n-grams; a shorter text is one gram."""
-    w = words(F.lower(text))
-    return F.when(F.size(w) <= n, F.array(F.array_join(w, " "))).otherwise(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - (n - 1), F.lit(1))), lambda i: F.array_join(F.slice(w, i, n), " "))))
+    grams = lambda w: F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - (n - 1), F.lit(1))), lambda i: F.array_join(F.slice(w, i, n), " ")))
+    return let(words(F.lower(text)), grams)
 
 
 def rouge_l(hyp: Column, ref: Column) -> Column:
     """F1 of the longest common subsequence of words, as a fold over the hypothesis with one row of the table."""
-    h, r = words(F.lower(hyp)), words(F.lower(ref))
-    zero = F.transform(r, lambda _: F.lit(0))
 
-    def step(row: Column, w: Column) -> Column:
-        # new[j] = max(new[j-1], old[j], old[j-1] + 1 where the words match)
-        cells = F.zip_with(F.zip_with(row, F.concat(F.array(F.lit(0)), F.slice(row, 1, F.greatest(F.size(row) - 1, F.lit(0)))), lambda up, diag: F.struct(up.alias("up"), diag.alias("diag"))), r, lambda c, x: F.greatest(c["up"], F.when(x == w, c["diag"] + 1).otherwise(c["up"])))
-        return F.aggregate(cells, F.array().cast("array<int>"), lambda acc, v: F.array_append(acc, F.greatest(v, F.coalesce(F.try_element_at(acc, F.lit(-1)), F.lit(0)))))
+    def f1(h: Column, r: Column) -> Column:
+        def step(row: Column, w: Column) -> Column:
+            # new[j] = max(new[j-1], old[j], old[j-1] + 1 where the words match)
+            before = F.concat(F.array(F.lit(0)), F.slice(row, 1, F.greatest(F.size(row) - 1, F.lit(0))))
+            cells = F.zip_with(F.zip_with(row, before, lambda up, diag: F.struct(up.alias("up"), diag.alias("diag"))), r, lambda c, x: F.greatest(c["up"], F.when(x == w, c["diag"] + 1).otherwise(c["up"])))
+            return F.aggregate(cells, F.array().cast("array<int>"), lambda acc, v: F.array_append(acc, F.greatest(v, F.coalesce(F.try_element_at(acc, F.lit(-1)), F.lit(0)))))
+
+        lcs = F.coalesce(F.array_max(F.aggregate(h, F.transform(r, lambda _: F.lit(0)), step)), F.lit(0))
+        return F.when(lcs > 0, 2.0 * lcs / (F.size(h) + F.size(r))).otherwise(0.0)
 
-    lcs = F.coalesce(F.array_max(F.aggregate(h, zero, step)), F.lit(0))
-    return F.when(lcs > 0, 2.0 * lcs / (F.size(h) + F.size(r))).otherwise(0.0)
+    return let(words(F.lower(hyp)), lambda h: let(words(F.lower(ref)), lambda r: f1(h, r)))
 
 
 def hash_unit(*parts: Column) -> Column:

@@ -60,6 +60,13 @@ def choose_bands(num_perm: int = 128, threshold: float = 0.85, fp_weight: float
     return best[1], best[2]
 
 
+def _mixed(h: np.ndarray) -> np.ndarray:
+    """Multiply and shift rounds, so that near codes get unrelated hashes."""
+    h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return h ^ (h >> np.uint64(31))
+
+
 def signature_bands(df: DataFrame, n: int, num_perm: int, bands: int, rows: int, seed: int = 1) -> DataFrame:
     """df: id, text. Returns id, band, bucket: one row a band. Signatures are built in numpy, a batch at a time."""
     rng = np.random.default_rng(seed)
@@ -80,11 +87,11 @@ def signature_bands(df: DataFrame, n: int, num_perm: int, bands: int, rows: int,
                     grams = np.zeros(len(codes) - n + 1, dtype=np.uint64)
                     for k in range(n):
                         grams = grams * np.uint64(0x100000001B3) + codes[k : len(codes) - n + 1 + k]
-                    grams = np.unique(grams)
+                grams = _mixed(np.unique(grams))
                 low = np.full(num_perm, np.uint64(2**64 - 1))
                 for at in range(0, len(grams), 2048):  # bounds the table of hashes
                     h = grams[at : at + 2048, None] * a[None, :] + b[None, :]
-                    low = np.minimum(low, (h ^ (h >> np.uint64(29))).min(axis=0))
+                    low = np.minimum(low, _mixed(h).min(axis=0))
                 sig = low[: bands * rows].reshape(bands, rows)
                 buckets.append([xxhash.xxh3_64_intdigest(s.tobytes()) - 2**63 for s in sig])
             ids = batch.column("id")
@@ -94,8 +101,7 @@ def signature_bands(df: DataFrame, n: int, num_perm: int, bands: int, rows: int,
 
 
 def candidate_pairs(bands: DataFrame, wide: int = 64) -> DataFrame:
-    """Distinct pairs a < b that share a bucket of at most `wide` members; members of wider buckets are re-bucketed with the next
-    band's bucket until they fit, and what still is wider is paired with its first member and dealt out by it."""
+    """Distinct pairs a < b that share a bucket. A bucket of more than `wide` members is dealt out in blocks; no pair is lost."""
     sizes = bands.groupBy("band", "bucket").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("first")).where("n > 1")
     held = materialize(bands.join(sizes, ["band", "bucket"]), "buckets")
     small = held.where(F.col("n") <= wide).select("band", "bucket", "id")
@@ -119,11 +125,42 @@ def near_pairs(df: DataFrame, n: int = 3, threshold: float = 0.85, num_perm: int
     pairs = materialize(candidate_pairs(signature_bands(df, n, max(num_perm, b * r), b, r)), "pairs")
     if not verify:
         return pairs.withColumn("similarity", F.lit(None).cast("double"))
-    grams = df.select("id", tx.char_ngrams(F.col("text"), n).alias("g"))
     wanted = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    grams = materialize(grams.join(wanted, "id", "left_semi"), "grams")
+    grams = materialize(gram_sets(df.join(wanted, "id", "left_semi"), n), "grams")
     full = pairs.join(grams.select(F.col("id").alias("a"), F.col("g").alias("ga")), "a").join(grams.select(F.col("id").alias("b"), F.col("g").alias("gb")), "b")
-    return full.select("a", "b", tx.jaccard(F.col("ga"), F.col("gb")).alias("similarity")).where(F.col("similarity") >= threshold)
+
+    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            alike = []
+            for x, y in zip(batch.column("ga"), batch.column("gb")):
+                x, y = np.frombuffer(x.as_py(), np.uint64), np.frombuffer(y.as_py(), np.uint64)
+                shared = len(np.intersect1d(x, y, assume_unique=True))
+                alike.append(shared / (len(x) + len(y) - shared))
+            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(alike, pa.float64())], names=["a", "b", "similarity"])
+
+    kind = df.schema["id"].dataType.simpleString()
+    return full.mapInArrow(verify, f"a {kind}, b {kind}, similarity double").where(F.col("similarity") >= threshold)
+
+
+def gram_codes(text: str, n: int) -> np.ndarray:
+    """Sorted distinct codes of a text's character n-grams: exact up to three characters (21 bits each), hashed beyond. A shorter text is one gram."""
+    codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    n = max(1, min(n, len(codes)))
+    out = np.zeros(max(len(codes) - n + 1, 1), dtype=np.uint64)
+    if len(codes):
+        for k in range(n):
+            out = (out << np.uint64(21) if n <= 3 else out * np.uint64(0x9E3779B97F4A7C15)) + codes[k : len(codes) - n + 1 + k]
+    return np.unique(out)
+
+
+def gram_sets(df: DataFrame, n: int) -> DataFrame:
+    """id, g: the gram codes as bytes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array([gram_codes(t or "", n).tobytes() for t in batch.column("text").to_pylist()], pa.binary())], names=["id", "g"])
+
+    return df.select("id", "text").mapInArrow(run, f"id {df.schema['id'].dataType.simpleString()}, g binary")
 
 
 def dedup_minhash(df: DataFrame, n: int = 3, threshold: float = 0.85, num_perm: int = 128, policy: str = "greedy", bands: tuple[int, int] | None = None, verify: bool = True, text: Column | None = None) -> DataFrame:

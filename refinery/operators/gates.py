@@ -30,33 +30,33 @@ def answer_text() -> Column:
 def claim_scores(answer: Column, source: Column, n: int = 3) -> Column:
     """array of struct(claim, support) over the answer's sentences. Support: the share of a claim's word n-grams that the source holds, times 0.3 where
     the claim denies something in a source that denies nothing, or names a number that the source lacks."""
-    held = tx.word_ngrams(source, n)
     numbers = lambda c: F.regexp_extract_all(c, F.lit(r"\d+"), F.lit(0))
 
-    def one(claim: Column) -> Column:
-        grams = tx.word_ngrams(claim, n)
+    def one(claim: Column, e: Column) -> Column:
         words = tx.words(F.lower(claim))
-        share = F.when(F.size(words) < n, F.size(F.array_intersect(words, tx.words(F.lower(source)))) / F.greatest(F.size(F.array_distinct(words)), F.lit(1))).otherwise(F.size(F.array_intersect(grams, held)) / F.size(grams))
-        contrary = (claim.rlike(DENIAL) & ~source.rlike(DENIAL)) | (F.size(F.array_except(numbers(claim), numbers(source))) > 0)
-        return F.struct(claim.alias("claim"), (share * F.when(contrary, 0.3).otherwise(1.0)).alias("support"))
+        few = F.size(F.array_intersect(words, e["words"])) / F.greatest(F.size(F.array_distinct(words)), F.lit(1))
+        many = tx.let(tx.word_ngrams(claim, n), lambda g: F.size(F.array_intersect(g, e["grams"])) / F.size(g))
+        contrary = (claim.rlike(DENIAL) & ~e["denies"]) | (F.size(F.array_except(numbers(claim), e["numbers"])) > 0)
+        return F.struct(claim.alias("claim"), (F.when(F.size(words) < n, few).otherwise(many) * F.when(contrary, 0.3).otherwise(1.0)).alias("support"))
 
-    return F.transform(tx.sentences(answer), one)
+    evidence = F.struct(tx.words(F.lower(source)).alias("words"), tx.word_ngrams(source, n).alias("grams"), source.rlike(DENIAL).alias("denies"), numbers(source).alias("numbers"))
+    return tx.let(evidence, lambda e: F.transform(tx.sentences(answer), lambda c: one(c, e)))
 
 
 def grounding_verdict(answer: Column, source: Column) -> Column:
     """struct(score, supported, unsupported): the mean support of the claims; 0 without claims or source."""
-    claims = claim_scores(answer, F.coalesce(source, F.lit("")))
-    total = F.aggregate(claims, F.lit(0.0), lambda a, c: a + c["support"])
-    score = F.when(F.size(claims) > 0, total / F.size(claims)).otherwise(0.0)
-    pick = lambda good: F.transform(F.filter(claims, lambda c: (c["support"] >= SUPPORTED) == F.lit(good)), lambda c: c["claim"])
-    return F.struct(score.alias("score"), pick(True).alias("supported"), pick(False).alias("unsupported"))
+    pick = lambda claims, good: F.transform(F.filter(claims, lambda c: (c["support"] >= SUPPORTED) == F.lit(good)), lambda c: c["claim"])
+    return tx.let(claim_scores(answer, F.coalesce(source, F.lit(""))), lambda claims: F.struct(_mean_support(claims).alias("score"), pick(claims, True).alias("supported"), pick(claims, False).alias("unsupported")))
 
 
-def grounding_score(answer: Column, source: Column) -> Column:
-    claims = claim_scores(answer, F.coalesce(source, F.lit("")))
+def _mean_support(claims: Column) -> Column:
     return F.when(F.size(claims) > 0, F.aggregate(claims, F.lit(0.0), lambda a, c: a + c["support"]) / F.size(claims)).otherwise(0.0)
 
 
+def grounding_score(answer: Column, source: Column) -> Column:
+    return tx.let(claim_scores(answer, F.coalesce(source, F.lit(""))), _mean_support)
+
+
 def lenient(score: Column, leniency: float = 0.15) -> Column:
     """A judge of the generator's own make: it forgives part of what is missing."""
     return F.least(F.lit(1.0), score + F.lit(leniency))

@@ -123,12 +123,16 @@ def _fake(kind: str, k: Column) -> Column:
     }[kind]
 
 
+def _scored(kind: str):
+    return lambda v: F.struct(F.lit(kind).alias("type"), v.alias("value"), pii_score(kind, v).alias("score"))
+
+
 def pii_findings(text: Column, entities: tuple = DEFAULT_PII, threshold: float = 0.7) -> Column:
     """Distinct findings of a text: array of struct(type, value, score), in order of type and value, at or above the threshold."""
     found = []
     for kind in entities:
         values = F.array_sort(F.array_distinct(F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(PII_PATTERNS[kind][0]), F.lit(0))))
-        found.append(F.filter(F.transform(values, lambda v, kind=kind: F.struct(F.lit(kind).alias("type"), v.alias("value"), pii_score(kind, v).alias("score"))), lambda s: s["score"] >= threshold))
+        found.append(F.filter(F.transform(values, _scored(kind)), lambda s: s["score"] >= threshold))
     return F.concat(*found)
 
 

@@ -36,7 +36,7 @@ def _normal(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def dedup_jaccard_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Character 3-gram pairs at 0.85 or more, by a banding that finds nearly all; tests hold it against brute force."""
-    return dedup.near_pairs(_normal(spark, sf_dir), n=3, threshold=0.85, bands=(25, 5)).select("a", "b", F.round("similarity", 6).alias("similarity"))
+    return dedup.near_pairs(_normal(spark, sf_dir), n=3, threshold=0.85, bands=(16, 8)).select("a", "b", F.round("similarity", 6).alias("similarity"))
 
 
 @query()
@@ -47,13 +47,13 @@ def dedup_minhash_auto_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def dedup_minhash_greedy(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = dedup.dedup_minhash(doc_records(spark, sf_dir), bands=(25, 5))
+    out = dedup.dedup_minhash(doc_records(spark, sf_dir), bands=(16, 8))
     return out.select(F.col("id").alias("doc_id"), F.col("rejection_reason").alias("reason"))
 
 
 @query()
 def dedup_minhash_component(spark: SparkSession, sf_dir: str) -> DataFrame:
-    out = dedup.dedup_minhash(doc_records(spark, sf_dir), bands=(25, 5), policy="component")
+    out = dedup.dedup_minhash(doc_records(spark, sf_dir), bands=(16, 8), policy="component")
     return out.select(F.col("id").alias("doc_id"), F.col("rejection_reason").alias("reason"))
 
 
@@ -342,7 +342,7 @@ def workload_dedup_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     texts = materialize(_normal(spark, sf_dir), "texts")
     out = None
     for n in (3, 5):
-        full = materialize(dedup.near_pairs(texts, n, 0.7, bands=(40, 3)), "full")
+        full = materialize(dedup.near_pairs(texts, n, 0.7, bands=(16, 8)), "full")
         for t in (0.85, 0.9, 0.95):
             auto = dedup.near_pairs(texts, n, t).select("a", "b", F.lit(1).alias("hit"))
             row = full.where(F.col("similarity") >= t).join(auto, ["a", "b"], "left").agg(F.lit(n).alias("n"), F.lit(t).alias("threshold"), F.count(F.lit(1)).alias("pairs"), F.count("hit").alias("found"))
@@ -354,7 +354,7 @@ def workload_dedup_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 def workload_dedup_policies(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Survivors of the exact, greedy and component policies."""
     docs = materialize(doc_records(spark, sf_dir), "records")
-    frames = {"exact": dedup.dedup_exact(docs), "greedy": dedup.dedup_minhash(docs, bands=(25, 5)), "component": dedup.dedup_minhash(docs, bands=(25, 5), policy="component")}
+    frames = {"exact": dedup.dedup_exact(docs), "greedy": dedup.dedup_minhash(docs, bands=(16, 8)), "component": dedup.dedup_minhash(docs, bands=(16, 8), policy="component")}
     out = None
     for name, df in frames.items():
         row = df.agg(F.lit(name).alias("policy"), F.count_if(F.col("status") == "accepted").alias("survivors"))

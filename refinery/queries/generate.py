@@ -24,9 +24,9 @@ def qa(spark: SparkSession, sf_dir: str) -> DataFrame:
 SENTENCES = """d as (select doc_id, list_filter(string_split_regex(text, '\\s+'), lambda w: w <> '') as w from documents),
 ch as (select doc_id, k as chunk_no, array_to_string(w[k * 160 + 1 : k * 160 + 160], ' ') as chunk from d, lateral (select unnest(range(0, case when len(w) = 0 then 0 else (len(w) - 1) // 160 + 1 end)) as k)),
 st as (select *, list_filter(list_transform(string_split(regexp_replace(chunk, '([.!?])\\s+', '\\1' || chr(10), 'g'), chr(10)), lambda x: trim(x)), lambda x: x <> '' and len(list_filter(string_split_regex(x, '\\s+'), lambda w: w <> '')) >= 5) as s from ch),
-qk as (select doc_id, chunk_no, s, k, floor(k * len(s) / least(3, len(s))::double)::int as at from st, lateral (select unnest(range(0, least(3, len(s)))) as k)),
+qk as (select doc_id, chunk_no, s, k, floor(k * len(s) / least(3, len(s))::double)::int as spot from st, lateral (select unnest(range(0, least(3, len(s)))) as k)),
 qa as (select md5(doc_id || '|' || chunk_no || '|' || k) as qa_id, doc_id, chunk_no, k,
-  'What does the passage say about ' || regexp_replace(array_to_string(list_filter(string_split_regex(s[at + 1], '\\s+'), lambda w: w <> '')[1:4], ' '), '[.,;:!?]', '', 'g') || '?' as instruction, s[at + 1] as output from qk)"""
+  'What does the passage say about ' || regexp_replace(array_to_string(list_filter(string_split_regex(s[spot + 1], '\\s+'), lambda w: w <> '')[1:4], ' '), '[.,;:!?]', '', 'g') || '?' as instruction, s[spot + 1] as output from qk)"""
 UNIT = lambda seed: f"('0x' || md5('{seed}|' || qa_id)[1:8])::bigint"
 INJECT = f"""case when {UNIT("inject")} / 4294967296.0::double < 0.2::double then (['contradicts_source', 'parametric_drift', 'domain_mismatch', 'instruction_quality'])[{UNIT("inject-type")} % 4 + 1] end"""
 
