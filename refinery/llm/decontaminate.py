@@ -88,9 +88,11 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float = MIN_S
     hits = stage(hits.distinct(), "hits")
     at = hits.groupBy("doc_id", "mark").agg(F.collect_set(F.struct("item_size", "start")).alias("places"))
     texts = rows.withColumn("mark", mark).alias("r").join(at.alias("h"), F.col("r.doc_id").eqNullSafe(F.col("h.doc_id")) & (F.col("r.mark") == F.col("h.mark")))
-    windows = texts.select("r.doc_id", "r.mark", words_col(F.col("text")).alias("words"), F.explode("places").alias("p"))
-    start = F.greatest(F.least(F.col("p.start"), F.size("words") - F.col("p.item_size")), F.lit(0))
-    windows = windows.withColumn("start", start).select("doc_id", "mark", F.col("p.item_size").alias("item_size"), "start", F.slice("words", F.col("start") + 1, F.col("p.item_size")).alias("window")).distinct()
+    # windows leave a row one by one, without the row's words; equal windows of a row count once, at their first place
+    place = lambda w, p: F.greatest(F.least(p["start"], F.size(w) - p["item_size"]), F.lit(0))
+    cut = lambda w: F.transform("places", lambda p: F.struct(p["item_size"].alias("item_size"), place(w, p).alias("start"), F.slice(w, place(w, p) + 1, p["item_size"]).alias("window")))
+    windows = texts.select("r.doc_id", "r.mark", F.inline(let(words_col(F.col("text")), cut)).alias("item_size", "start", "window"))
+    windows = windows.groupBy("doc_id", "mark", "item_size", "window").agg(F.min("start").alias("start"))
     windows = stage(windows.withColumn("print", simhash(F.col("window"))), "windows")
     left = windows.select("doc_id", "mark", "item_size", "start", "print", F.inline(blocks(F.col("print"), radius)).alias("k", "bits"))
     right = items.select("item_id", "item_size", "item_print", F.inline(blocks(F.col("item_print"), radius)).alias("k", "bits"))
@@ -130,5 +132,5 @@ m as (select r, start, item_id, len(x.sh) as nx, len(b.sh) as nb,
   list_sum(list_transform(list_distinct(list_intersect(x.sh, b.sh)), lambda s: least(len(list_filter(x.sh, lambda y: y = s)), len(list_filter(b.sh, lambda y: y = s))))) as both_ from x join b on x.n = b.n),
 s as (select r, item_id, start, both_ / (nx + nb - both_)::double as similarity from m where both_ is not null and both_ / (nx + nb - both_)::double >= 0.8),
 g as (select r, count(distinct item_id) as n_items, min((-similarity, item_id, start)) as best from s group by r)
-select doc_id, best is not null as contaminated, best[2] as item_id, -best[1] as similarity, best[3]::int as start, coalesce(n_items, 0)::bigint as n_items from d0 left join g using (r)
+select doc_id, best is not null as contaminated, coalesce(best[2], -1) as item_id, coalesce(-best[1], 0) as similarity, coalesce(best[3], -1)::int as start, coalesce(n_items, 0)::bigint as n_items from d0 left join g using (r)
 """

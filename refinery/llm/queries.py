@@ -39,7 +39,8 @@ def op6_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return decontaminate.contaminated(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
+    rows = decontaminate.contaminated(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark"))
+    return rows.withColumns({"item_id": F.coalesce("item_id", F.lit(-1)), "start": F.coalesce("start", F.lit(-1)), "similarity": F.coalesce("similarity", F.lit(0.0))})
 
 
 def op8_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:
