@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
@@ -167,11 +168,13 @@ DIMENSIONS = ("toxicity", "severe_toxicity", "obscene", "threat", "insult", "ide
 VARIANTS = {"unbiased": (0.6, 0.2, 0.3, 0.1, 0.6, 0.1), "original": (0.8, 0.3, 0.4, 0.2, 0.7, 0.2), "multilingual": (0.6, 0.2, 0.3, 0.1, 0.5, 0.1)}
 
 
-def learn_lexicon(texts: DataFrame, min_support: int = 3, min_precision: float = 0.8) -> DataFrame:
-    """texts: id, text, toxic (0/1), the training half. Words that occur in at least min_support texts, mostly toxic ones: word, precision."""
+def learn_lexicon(texts: DataFrame, min_support: int = 3, min_precision: float = 0.8, min_share: float = 0.02) -> DataFrame:
+    """texts: text, toxic (0/1), the training half. Words that are in at least min_support texts and in min_share of the toxic ones, and mostly in toxic ones:
+    word, precision. The share keeps chance words out however many texts there are."""
     w = texts.select("toxic", F.explode(F.array_distinct(tx.words(F.regexp_replace(F.lower("text"), r"[.,;:!?\"]", "")))).alias("word"))
+    least = max(min_support, math.ceil(min_share * texts.where("toxic = 1").count()))
     n, hits = F.count(F.lit(1)), F.sum("toxic")
-    return w.groupBy("word").agg(n.alias("n"), hits.alias("hits")).where((F.col("hits") >= min_support) & (F.col("hits") >= min_precision * F.col("n"))).select("word", (F.col("hits") / F.col("n")).alias("precision"))
+    return w.groupBy("word").agg(n.alias("n"), hits.alias("hits")).where((F.col("hits") >= least) & (F.col("hits") >= min_precision * F.col("n"))).select("word", (F.col("hits") / F.col("n")).alias("precision"))
 
 
 def toxicity_scores(df: DataFrame, lexicon: DataFrame, variant: str = "unbiased", text: Column | None = None, broadcast_rows: int = 100_000) -> DataFrame:

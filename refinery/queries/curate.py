@@ -238,7 +238,7 @@ def labelled(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 LEXICON = """h as (select doc_id, text, lang, toxic, (('0x' || md5('tox|' || doc_id)[1:8])::bigint % 2)::int as half from documents join labels using (doc_id)),
 w as (select doc_id, toxic, half, unnest(list_distinct(list_filter(string_split_regex(regexp_replace(lower(text), '[.,;:!?"]', '', 'g'), '\\s+'), lambda x: x <> ''))) as word from h),
-lex as (select word from w where half = 0 group by word having sum(toxic) >= 3 and sum(toxic) >= 0.8::double * count(*))"""
+lex as (select word from w where half = 0 group by word having sum(toxic) >= greatest(3, ceil(0.02::double * (select count(*) from h where half = 0 and toxic = 1))) and sum(toxic) >= 0.8::double * count(*))"""
 
 
 @query(f"""with {LEXICON}, k as (select doc_id, count(*) as hits from w join lex using (word) group by doc_id), s as (select h.*, round(greatest(1 - pow(0.4::double, coalesce(hits, 0)), 1 - pow(0.4::double, coalesce(hits, 0))), 6) as toxicity from h left join k using (doc_id))
@@ -251,6 +251,16 @@ def hygiene_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select(F.col("id").alias("doc_id"), "half", "toxic", F.round("toxicity", 6).alias("toxicity"), (F.col("toxicity") > 0.5).alias("rejected"))
 
 
+@query(f"""with {LEXICON}, v as (select doc_id, unnest(list_distinct(list_filter(string_split_regex(regexp_replace(lower(text), '[.,;:!?"]', '', 'g'), '\\s+'), lambda x: x <> ''))) as word from documents),
+k as (select doc_id, count(*) as hits from v join lex using (word) group by doc_id) select doc_id, case when 1 - pow(0.4::double, coalesce(hits, 0)) > 0.5 then 'toxic_classifier' end as reason from documents left join k using (doc_id)""")
+def hygiene_toxicity_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The gate over all documents, labelled or not."""
+    rows = labelled(spark, sf_dir)
+    lexicon = hygiene.learn_lexicon(rows.where("half = 0").select("doc_id", "text", "toxic"))
+    out = hygiene.toxicity_gate(doc_records(spark, sf_dir), lexicon)
+    return out.select(F.col("id").alias("doc_id"), F.substring_index("rejection_reason", ":", 1).alias("reason"))
+
+
 @query(f"""with {LEXICON}, k as (select doc_id, count(*) as hits from w join lex using (word) group by doc_id), s as (select h.*, 1 - pow(0.4::double, coalesce(hits, 0)) as t from h left join k using (doc_id)), b as (select * from (values (0.1::double), (0.2)) as b(pass_below))
 select pass_below, half, count(*) filter (where t >= pass_below and t <= 0.5)::bigint as escalated, count(*) filter (where t > 0.5 and toxic = 1)::bigint as tp, count(*) filter (where t > 0.5 and toxic = 0)::bigint as fp, count(*) filter (where toxic = 1)::bigint as toxic from s, b group by all""")
 def hygiene_toxicity_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
