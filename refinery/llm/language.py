@@ -144,36 +144,38 @@ def profiles(labelled: DataFrame, most: int = TRAIN_A_LANGUAGE) -> dict[str, np.
     return {r.lang: np.array(r.v, dtype=np.float64) / 2.0**30 for r in cells.collect()}
 
 
-def predict(docs: DataFrame, known: dict[str, np.ndarray], extra: list[str] | None = None) -> DataFrame:
-    """lang_pred and score for each row's text, with the columns in `extra` carried along (doc_id if not given)."""
-    extra = ["doc_id"] if extra is None else extra
-    names = sorted(known)
-    matrix = np.array([known[n] / max(np.linalg.norm(known[n]), 1e-12) for n in names]) if names else np.zeros((0, DIMENSIONS))
-    centre = matrix.mean(axis=0) if len(names) > 1 else np.zeros(DIMENSIONS)
-    axes = matrix - centre
-    axes /= np.maximum(np.linalg.norm(axes, axis=1, keepdims=True), 1e-12)
+class Classifier:
+    """Prototypes centred on their mean; tells a text's language and score."""
+
+    def __init__(self, known: dict[str, np.ndarray]):
+        self.names = sorted(known)
+        matrix = np.array([known[n] / max(np.linalg.norm(known[n]), 1e-12) for n in self.names]) if known else np.zeros((0, DIMENSIONS))
+        self.centre = matrix.mean(axis=0) if len(self.names) > 1 else np.zeros(DIMENSIONS)
+        axes = matrix - self.centre
+        self.axes = axes / np.maximum(np.linalg.norm(axes, axis=1, keepdims=True), 1e-12)
+
+    def __call__(self, encoder: Encoder, text: str | None) -> tuple[str, float]:
+        v = encoder.encode(text) if self.names else None
+        n = 0 if v is None else np.linalg.norm(v)
+        if not n:
+            return "und", 0.0
+        v = v / n - self.centre
+        cosines = self.axes @ v / max(np.linalg.norm(v), 1e-12)
+        best = int(np.argmax(np.round(cosines, 9)))
+        return self.names[best], float(min(1.0, max(0.0, (1 + cosines[best]) / 2)))
+
+
+def predict(docs: DataFrame, known: dict[str, np.ndarray]) -> DataFrame:
+    """doc_id, lang_pred and score for each row of docs (doc_id, text)."""
+    classify = Classifier(known)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = Encoder()
         for b in batches:
-            langs, scores = [], []
-            for text in b.column("__text"):
-                v = encoder.encode(text.as_py())
-                n = 0 if v is None else np.linalg.norm(v)
-                if not n or not names:
-                    langs.append("und")
-                    scores.append(0.0)
-                    continue
-                v = v / n - centre
-                cosines = axes @ v / max(np.linalg.norm(v), 1e-12)
-                best = int(np.argmax(np.round(cosines, 9)))
-                langs.append(names[best])
-                scores.append(float(min(1.0, max(0.0, (1 + cosines[best]) / 2))))
-            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in extra), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], names=[*extra, "lang_pred", "score"])
-
-    rows = docs.select(*extra, F.col("text").alias("__text"))
-    schema = docs.select(*extra).schema.add("lang_pred", "string").add("score", "double")
-    return rows.mapInArrow(run, schema)
+            langs, scores = zip(*found) if (found := [classify(encoder, t.as_py()) for t in b.column("text")]) else ((), ())
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], names=["doc_id", "lang_pred", "score"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, lang_pred string, score double")
 
 
 def fold(doc_id: Column, parts: int) -> Column:
@@ -191,6 +193,12 @@ def identify(docs: DataFrame) -> DataFrame:
 def keep_known(docs: DataFrame, least: float = 0.5) -> DataFrame:
     """The rows of docs with a recognised language: not `und`, and a score of `least` or more (0.5: a cosine of 0)."""
     held = F.coalesce(fold(F.col("doc_id"), 4) == 2, F.lit(False))
-    known = profiles(docs.where(~held).select("text", "lang"))
-    rows = predict(docs, known, docs.columns)
-    return rows.where((F.col("lang_pred") != "und") & (F.col("score") >= least)).select(*docs.columns)
+    classify = Classifier(profiles(docs.where(~held).select("text", "lang")))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder = Encoder()
+        for b in batches:
+            found = [classify(encoder, t.as_py()) for t in b.column("text")]
+            yield b.filter(pa.array([lang != "und" and score >= least for lang, score in found], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
