@@ -68,7 +68,7 @@ def _mixed(h: np.ndarray) -> np.ndarray:
 
 
 def signature_bands(df: DataFrame, n: int, num_perm: int, bands: int, rows: int, seed: int = 1) -> DataFrame:
-    """df: id, text. Returns id, band, bucket: one row a band. Signatures are built in numpy, a batch at a time."""
+    """df: id, text. Returns id, band, bucket, size (distinct n-grams): one row a band. Signatures are built in numpy, a batch at a time."""
     rng = np.random.default_rng(seed)
     a = rng.integers(1, 2**61, num_perm, dtype=np.uint64) | np.uint64(1)
     b = rng.integers(0, 2**61, num_perm, dtype=np.uint64)
@@ -77,7 +77,7 @@ def signature_bands(df: DataFrame, n: int, num_perm: int, bands: int, rows: int,
         import xxhash
 
         for batch in batches:
-            buckets = []
+            buckets, sizes = [], []
             for t in batch.column("text").to_pylist():
                 t = t or ""
                 codes = np.frombuffer(t.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
@@ -88,6 +88,7 @@ def signature_bands(df: DataFrame, n: int, num_perm: int, bands: int, rows: int,
                     for k in range(n):
                         grams = grams * np.uint64(0x100000001B3) + codes[k : len(codes) - n + 1 + k]
                 grams = _mixed(np.unique(grams))
+                sizes.append(len(grams))
                 low = np.full(num_perm, np.uint64(2**64 - 1))
                 for at in range(0, len(grams), 2048):  # bounds the table of hashes
                     h = grams[at : at + 2048, None] * a[None, :] + b[None, :]
@@ -95,25 +96,26 @@ def signature_bands(df: DataFrame, n: int, num_perm: int, bands: int, rows: int,
                 sig = low[: bands * rows].reshape(bands, rows)
                 buckets.append([xxhash.xxh3_64_intdigest(s.tobytes()) - 2**63 for s in sig])
             ids = batch.column("id")
-            yield pa.RecordBatch.from_arrays([ids.take(pa.array(np.repeat(np.arange(len(buckets)), bands))), pa.array(np.tile(np.arange(bands, dtype=np.int32), len(buckets))), pa.array([x for r in buckets for x in r], pa.int64())], names=["id", "band", "bucket"])
+            yield pa.RecordBatch.from_arrays([ids.take(pa.array(np.repeat(np.arange(len(buckets)), bands))), pa.array(np.tile(np.arange(bands, dtype=np.int32), len(buckets))), pa.array([x for r in buckets for x in r], pa.int64()), pa.array(np.repeat(np.array(sizes, dtype=np.int64), bands))], names=["id", "band", "bucket", "size"])
 
-    return df.select("id", "text").mapInArrow(run, f"id {df.schema['id'].dataType.simpleString()}, band int, bucket long")
+    return df.select("id", "text").mapInArrow(run, f"id {df.schema['id'].dataType.simpleString()}, band int, bucket long, size long")
 
 
-def candidate_pairs(bands: DataFrame, wide: int = 64) -> DataFrame:
-    """Distinct pairs a < b that share a bucket. A bucket of more than `wide` members is dealt out in blocks; no pair is lost."""
+def candidate_pairs(bands: DataFrame, wide: int = 64, threshold: float = 0.0) -> DataFrame:
+    """Distinct pairs a < b that share a bucket, without those whose sizes alone keep them below the threshold. A bucket of more than `wide` members is dealt out in blocks; no pair is lost."""
     sizes = bands.groupBy("band", "bucket").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("first")).where("n > 1")
     held = materialize(bands.join(sizes, ["band", "bucket"]), "buckets")
-    small = held.where(F.col("n") <= wide).select("band", "bucket", "id")
-    pairs = small.alias("x").join(small.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.bucket") == F.col("y.bucket")) & (F.col("x.id") < F.col("y.id"))).select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
+    fits = F.least("x.size", "y.size") >= threshold * F.greatest("x.size", "y.size")
+    small = held.where(F.col("n") <= wide).select("band", "bucket", "id", "size")
+    pairs = small.alias("x").join(small.alias("y"), (F.col("x.band") == F.col("y.band")) & (F.col("x.bucket") == F.col("y.bucket")) & (F.col("x.id") < F.col("y.id")) & fits).select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
     large = held.where(F.col("n") > wide)
     if not large.isEmpty():
         # a wide bucket is compared whole, in blocks dealt out to tasks: no pair is lost
         block = F.ceil(F.col("n") / wide).cast("int")
         dealt = large.withColumn("blocks", block).withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-        dealt = dealt.select("band", "bucket", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id")
+        dealt = dealt.select("band", "bucket", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "size")
         on = [F.col(f"x.{c}") == F.col(f"y.{c}") for c in ("band", "bucket", "i", "j")]
-        more = dealt.alias("x").join(dealt.alias("y"), on[0] & on[1] & on[2] & on[3] & (F.col("x.id") < F.col("y.id")) & ((F.col("x.i") == F.col("x.j")) | (F.col("x.own") != F.col("y.own"))))
+        more = dealt.alias("x").join(dealt.alias("y"), on[0] & on[1] & on[2] & on[3] & (F.col("x.id") < F.col("y.id")) & ((F.col("x.i") == F.col("x.j")) | (F.col("x.own") != F.col("y.own"))) & fits)
         pairs = pairs.unionByName(more.select(F.col("x.id").alias("a"), F.col("y.id").alias("b")))
     return pairs.distinct()
 
@@ -122,7 +124,7 @@ def near_pairs(df: DataFrame, n: int = 3, threshold: float = 0.85, num_perm: int
     """df: id, text (in normal form). Returns a, b, similarity of the pairs found by banding; verified exactly unless told not to."""
     b, r = bands or choose_bands(num_perm, threshold)
     df = materialize(df.select("id", "text"), "texts")
-    pairs = materialize(candidate_pairs(signature_bands(df, n, max(num_perm, b * r), b, r)), "pairs")
+    pairs = materialize(candidate_pairs(signature_bands(df, n, max(num_perm, b * r), b, r), threshold=threshold), "pairs")
     if not verify:
         return pairs.withColumn("similarity", F.lit(None).cast("double"))
     wanted = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
