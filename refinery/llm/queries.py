@@ -26,7 +26,7 @@ def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = mixing.schedule(read(spark, sf_dir, "documents"))
-    rows = rows.withColumn("position", F.expr("copies[0].position"))
+    rows = rows.withColumn("position", F.get("copies", F.lit(0))["position"])  # null where nothing is taken
     return mixing.range_sorted(rows, "position").select("doc_id", "size", "source_size", "target", "taken")
 
 
