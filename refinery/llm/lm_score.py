@@ -45,7 +45,7 @@ START = OWN + CLASSES
 CODES = START + 1
 #: Rows of each hashed table of weights, gradient rounds, tasks that share them out (the histories are bounded, so few are enough), step size, and
 #: how many sightings halve a row's step.
-ROWS, ROUNDS, TASKS, STEP, DAMP = 1 << 14, 8, 4, 1.0, 4.0
+ROWS, ROUNDS, TASKS, STEP, DAMP = 1 << 15, 10, 4, 1.0, 4.0
 #: Tokens in a batch, and weight rows sent together.
 BATCH, CHUNK = 200_000, 64
 

@@ -313,6 +313,15 @@ def test_lm_is_a_distribution():
     assert abs(total - 1) < 1e-5
 
 
+def test_lm_training_is_not_cut():
+    """Sizes chosen for the model, not for the check's disk: pairs of codes spread over the rows, and ten rounds of training."""
+    import numpy as np
+
+    assert lm_score.ROUNDS >= 10
+    places = np.random.default_rng(0).choice(lm_score.CODES**2, 20_000, replace=False)
+    assert len(np.unique(lm_score.hashed(1, places))) > 0.7 * len(places)
+
+
 def test_pipeline_against_brute_force(spark, sf):
     import corpus_pipeline
 
