@@ -8,7 +8,11 @@ unseen word the share of one unseen type. Classes and slots are softmaxes over f
 word before and the pair before (n-grams), and the word two back (a skip). A history is known by its words' slots, so there are at most
 (OWN + CLASSES + 1) squared histories.
 
-All training texts are counted into histories and what follows them; that table is bounded whatever the corpus's size. Its rows are
+On top of it are the pairs of words as they stand, of all training texts: with n(v, w) how often w follows v, and n(v) how often v has a
+next word, P(w | history, v) = (n(v, w) + PRIOR * model) / (n(v) + PRIOR), where model is the probability above. The pairs are a distributed
+table that grows with the corpus; tokens meet it in a join, those of the commonest PAIRS pairs in the tasks.
+
+All training texts are counted into histories and what follows them; that table of codes is bounded whatever the corpus's size. Its rows are
 shared out to tasks, which send back their gradients round by round; the driver adds them up and moves the weights by
 the mean slope of each row. Texts are scored in numpy batches, a softmax for each distinct history of a batch.
 
@@ -27,11 +31,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from refinery.llm.common import stage
+from refinery.llm.common import mix, stage
 from refinery.llm.language import fold
 
 #: The base model's smoothing, and the held-out fold.
@@ -46,6 +51,8 @@ CODES = START + 1
 #: Rows of each hashed table of weights, gradient rounds, tasks that share them out (the histories are bounded, so few are enough), step size, and
 #: how many sightings halve a row's step.
 ROWS, ROUNDS, TASKS, STEP, DAMP = 1 << 15, 10, 4, 1.0, 4.0
+#: Pairs whose counts every task holds, at most, and what the model weighs beside a pair's sightings.
+PAIRS, PRIOR = 262_144, 20.0
 #: Tokens in a batch, and weight rows sent together.
 BATCH, CHUNK = 200_000, 64
 
@@ -148,6 +155,27 @@ def numbered(batches: Iterator[pa.RecordBatch], voc: Vocabulary) -> Iterator[tup
                 texts, first, held = [], k + 1, 0
 
 
+def word_hash(token: bytes) -> int:
+    return xxhash.xxh3_64_intdigest(token)
+
+
+def pair_keys(head: np.ndarray, texts: list[list[bytes]], numbers: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """A 64-bit key of each token and the one before it (0 at a text's start). head: hashes of the head words; others are hashed here."""
+    rare = np.flatnonzero(numbers >= len(head))
+    words = np.empty(len(numbers), np.uint64)
+    words[numbers < len(head)] = head[numbers[numbers < len(head)]]
+    words[rare] = np.array([word_hash(t) for t in tokens_at(texts, rare, starts)], dtype=np.uint64)
+    before = np.concatenate((np.zeros(1, np.uint64), words[:-1]))
+    before[starts] = 0
+    return mix(mix(before, 1) ^ words, 2).view(np.int64)
+
+
+def tokens_at(texts: list[list[bytes]], where: np.ndarray, starts: np.ndarray) -> list[bytes]:
+    """The tokens at these places of a slice, in order."""
+    of = np.searchsorted(starts, where, side="right") - 1
+    return [texts[t][k] for t, k in zip(of.tolist(), (where - starts[of]).tolist())]
+
+
 def histories(codes: np.ndarray, starts: np.ndarray) -> np.ndarray:
     """(two back) * CODES + (one back) for each token; a text's first tokens have the start before them."""
     one = np.concatenate(([START], codes[:-1]))
@@ -192,44 +220,58 @@ def log_softmax(weights: np.ndarray, rows: list[np.ndarray]) -> np.ndarray:
 LEVELS = ((class_features, CLASSES), (slot_features, SLOTS))
 
 
-def count_histories(texts: DataFrame, voc: Vocabulary) -> DataFrame:
-    """level, place, counts: for level 0, a history and how often each class follows; for level 1, a word before and a class, and
-    how often each slot. Tasks count first, and flush when their table is full."""
+def count_histories(texts: DataFrame, voc: Vocabulary) -> tuple[DataFrame, DataFrame]:
+    """First level, place, counts: for level 0, a history and how often each class follows; for level 1, a word before and a class, and
+    how often each slot. Then key, n of the pairs of words. Tasks count first, and flush when their tables are full."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        to_code, held, size = voc.codes(), [], 0
-
-        def flush() -> pa.RecordBatch:
-            keys = np.concatenate([h[0] for h in held]) if held else np.empty(0, np.int64)
-            keys, inverse = np.unique(keys, return_inverse=True)
-            n = np.bincount(inverse, np.concatenate([h[1] for h in held]) if held else None, len(keys)).astype(np.int64)
-            return pa.RecordBatch.from_arrays([pa.array(keys), pa.array(n)], names=["key", "n"])
-
-        for _, _, numbers, starts in numbered(batches, voc):
+        to_code, held, size = voc.codes(), ([], []), 0
+        head = np.array([word_hash(w) for w in voc.words], dtype=np.uint64)
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            for kind, parts in enumerate(held):
+                keys = np.concatenate([h[0] for h in parts]) if parts else np.empty(0, np.int64)
+                keys, inverse = np.unique(keys, return_inverse=True)
+                n = np.bincount(inverse, np.concatenate([h[1] for h in parts]) if parts else None, len(keys)).astype(np.int64)
+                parts.clear()
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), kind, np.int32)), pa.array(keys), pa.array(n)], names=["kind", "key", "n"])
+
+        for _, found, numbers, starts in numbered(batches, voc):
             codes = to_code[numbers]
-            keys, n = np.unique(histories(codes, starts) * START + codes, return_counts=True)
-            held.append((keys, n))
-            size += len(keys)
-            if size > 2_000_000:
-                yield flush()
-                held, size = [], 0
-        yield flush()
-
-    triples = stage(texts.select("text").mapInArrow(run, "key long, n long").groupBy("key").agg(F.sum("n").alias("n")), "triples")
+            for parts, all_keys in zip(held, (histories(codes, starts) * START + codes, pair_keys(head, found, numbers, starts))):
+                parts.append(np.unique(all_keys, return_counts=True))
+                size += len(parts[-1][0])
+            if size > 4_000_000:
+                yield from flush()
+                size = 0
+        yield from flush()
+
+    counted = stage(texts.select("text").mapInArrow(run, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n")), "counted")
+    triples, pairs = counted.where("kind = 0"), counted.where("kind = 1").select("key", "n")
     history, code = F.floor(F.col("key") / START).cast("long"), F.pmod(F.col("key"), F.lit(START))
     klass = F.when(code < OWN, F.floor(code / (SLOTS - 1))).otherwise(code - OWN).cast("int")
     slot = F.when(code < OWN, F.pmod(code, F.lit(SLOTS - 1))).otherwise(SLOTS - 1).cast("int")
     cells = triples.select(F.lit(0).alias("level"), history.alias("place"), klass.alias("k"), "n")
     cells = cells.unionByName(triples.select(F.lit(1).alias("level"), (F.pmod(history, F.lit(CODES)) * CLASSES + klass).alias("place"), slot.alias("k"), "n"))
     cells = cells.groupBy("level", "place", "k").agg(F.sum("n").alias("n"))
-    return cells.groupBy("level", "place").agg(F.map_from_entries(F.collect_list(F.struct("k", "n"))).alias("m")).select("level", "place", F.transform(F.sequence(F.lit(0), F.lit(SLOTS - 1)), lambda k: F.coalesce(F.try_element_at("m", k), F.lit(0)).cast("double")).alias("counts"))
+    cells = cells.groupBy("level", "place").agg(F.map_from_entries(F.collect_list(F.struct("k", "n"))).alias("m")).select("level", "place", F.transform(F.sequence(F.lit(0), F.lit(SLOTS - 1)), lambda k: F.coalesce(F.try_element_at("m", k), F.lit(0)).cast("double")).alias("counts"))
+    return cells, pairs
+
+
+def common_pairs(pairs: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Keys in ascending order, and counts, of the commonest pairs by a count that at most PAIRS pairs reach."""
+    by_count = pairs.where("n > 1").groupBy("n").agg(F.count(F.lit(1)).alias("m"))
+    upto = by_count.withColumn("upto", F.sum("m").over(Window.orderBy(F.col("n").desc()).rowsBetween(Window.unboundedPreceding, 0)))
+    least = upto.where(F.col("upto") <= PAIRS).agg(F.min("n")).first()[0]
+    found = pairs.where(F.col("n") >= (least or 1 << 62)).orderBy("key").toArrow()
+    return found.column("key").to_numpy().astype(np.int64), found.column("n").to_numpy().astype(np.float64)
 
 
 def train(table: DataFrame, rounds: int = ROUNDS) -> list[np.ndarray]:
     """Fit both levels' weights to the counted histories (a table in the shared folder, read in each round)."""
     weights = [np.zeros((ROWS, n), np.float32) for _, n in LEVELS]
     for _ in range(rounds):
-        now = weights
+        now = table.sparkSession.sparkContext.broadcast(weights)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             slopes = [np.zeros((ROWS, n)) for _, n in LEVELS]
@@ -242,7 +284,7 @@ def train(table: DataFrame, rounds: int = ROUNDS) -> list[np.ndarray]:
                     if some.any():
                         rows, c = of(place[some]), counts[some][:, :n]
                         total = c.sum(axis=1)
-                        slope = total[:, None] * np.exp(log_softmax(now[k], rows)) - c
+                        slope = total[:, None] * np.exp(log_softmax(now.value[k], rows)) - c
                         for r in rows:
                             order = np.argsort(r, kind="stable")
                             first = np.flatnonzero(np.r_[True, np.diff(r[order]) != 0])
@@ -275,21 +317,27 @@ def train(table: DataFrame, rounds: int = ROUNDS) -> list[np.ndarray]:
 
         sent = table.coalesce(TASKS).mapInArrow(run, "chunk int, task int, slope binary, met binary")
         summed = sent.repartition("chunk").sortWithinPartitions("chunk", "task").mapInArrow(add, "chunk int, change binary")
-        weights = [w.copy() for w in now]
+        weights = [w.copy() for w in weights]
         for r in summed.collect():  # at most the weights' own size
             w, at = weights[r.chunk // ROWS], r.chunk % ROWS
             w[at : at + CHUNK] -= STEP * np.frombuffer(r.change, np.float32).reshape(CHUNK, -1)
+        now.destroy()  # else the weights of all rounds stay on every disk
     return weights
 
 
-def score(docs: DataFrame, voc: Vocabulary, weights: list[np.ndarray], counts: DataFrame) -> DataFrame:
+def score(docs: DataFrame, voc: Vocabulary, weights: list[np.ndarray], counts: DataFrame, pairs: DataFrame) -> DataFrame:
     """doc_id, n_tokens, n_known, base_score, score for every row of docs (doc_id, text)."""
     denominator = voc.total + ADD * (voc.types + 1)
+    common, common_n = common_pairs(pairs)
+    n_texts = counts.where(F.length("token") == 0).agg(F.coalesce(F.sum("c"), F.lit(0))).first()[0]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rid, n_head = TaskContext.get().partitionId() << 33, len(voc.words)
         log_count = np.concatenate((np.log10(voc.counts + ADD), np.zeros(CLASSES)))
         to_code, log_rest = voc.codes(), np.log10(voc.rest)
+        head = np.array([word_hash(w) for w in voc.words], dtype=np.uint64)
+        # how often a word had a next one, with the prior; rare words meet theirs in the join
+        log_before = np.concatenate((np.log10(voc.counts + PRIOR), np.zeros(CLASSES)))
         # a word with a slot of its own needs no share of a rest
         share = log_count - np.where(to_code < OWN, log_count, log_rest[np.maximum(to_code - OWN, 0)])
         slots = log_softmax(weights[1], slot_features(np.arange(CODES * CLASSES))) / np.log(10)
@@ -303,30 +351,43 @@ def score(docs: DataFrame, voc: Vocabulary, weights: list[np.ndarray], counts: D
                 model[some] = (log_softmax(weights[0], class_features(places[at : at + 50_000])) / np.log(10))[inverse[some] - at, klass[some]]
             model += slots[one * CLASSES + klass, slot_of(codes)] + share[numbers]
             rare = numbers >= n_head
-            where, lengths = np.flatnonzero(rare), np.diff(np.r_[starts, len(numbers)])
-            tokens, times, ends = [], [], [0]
-            upto = np.searchsorted(where, starts + lengths)
-            lo = 0
-            for found, start, hi in zip(texts, starts.tolist(), upto.tolist()):
-                c = Counter([found[k - start] for k in where[lo:hi].tolist()])
-                tokens += c.keys()
-                times += c.values()
-                ends.append(len(tokens))
-                lo = hi
-            items = pa.StructArray.from_arrays([pa.array(tokens, pa.binary()), pa.array(times, pa.int64())], names=["token", "tf"])
-            sums = [np.add.reduceat(x, starts) for x in (~rare, log_count[numbers], model)]
-            arrays = [b.column("doc_id"), pa.array(rid + np.arange(len(texts))), pa.array(lengths.astype(np.int64)), pa.array(sums[0].astype(np.int64)), pa.array(sums[1]), pa.array(sums[2]), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), items)]
+            before = np.concatenate(([0.0], log_before[numbers[:-1]]))
+            before[starts] = np.log10(n_texts + PRIOR)
+            keys = pair_keys(head, texts, numbers, starts)
+            at = np.searchsorted(common, keys)
+            here = np.zeros(len(keys), bool)
+            if len(common):
+                at[at == len(common)] = 0
+                here = ~rare & (common[at] == keys)
+            known = np.zeros(len(keys))
+            known[here] = np.log10(common_n[at[here]] + PRIOR * 10.0 ** model[here])
+            lengths = np.diff(np.r_[starts, len(numbers)])
+            lists = []
+            for where, named in ((np.flatnonzero(~rare & ~here), False), (np.flatnonzero(rare), True)):
+                columns = [pa.array(keys[where]), pa.array(model[where])]
+                names = ["key", "lp"]
+                if named:
+                    columns, names = [pa.array(tokens_at(texts, where, starts), pa.binary()), *columns], ["token", *names]
+                ends = np.r_[0, np.searchsorted(where, starts + lengths)].astype(np.int32)
+                lists.append(pa.ListArray.from_arrays(pa.array(ends), pa.StructArray.from_arrays(columns, names=names)))
+            sums = [np.add.reduceat(x, starts) for x in (~rare, log_count[numbers], known - before)]
+            arrays = [b.column("doc_id"), pa.array(rid + np.arange(len(texts))), pa.array(lengths.astype(np.int64)), pa.array(sums[0].astype(np.int64)), pa.array(sums[1]), pa.array(sums[2]), *lists]
             rid += len(texts)
-            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "rid", "n_tokens", "n_head", "base", "model", "rare"])
+            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "rid", "n_tokens", "n_head", "base", "model", "asked", "rare"])
 
-    schema = "doc_id long, rid long, n_tokens long, n_head long, base double, model double, rare array<struct<token binary, tf bigint>>"
+    schema = "doc_id long, rid long, n_tokens long, n_head long, base double, model double, asked array<struct<key bigint, lp double>>, rare array<struct<token binary, key bigint, lp double>>"
     # written once: the rows' numbers hold for this table, whatever is recomputed later
     rows = stage(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, schema), "scored")
-    rare = rows.select("rid", F.inline("rare").alias("token", "tf")).join(counts, "token", "left")
-    sums = rare.groupBy("rid").agg(F.sum(F.col("tf") * F.log10(F.coalesce("c", F.lit(0)) + ADD)).alias("log_rare"), F.sum(F.when(F.col("c").isNotNull(), F.col("tf")).otherwise(0)).alias("n_rare"))
-    out = rows.drop("rare").join(sums, "rid", "left")
-    log_rare = F.coalesce("log_rare", F.lit(0.0))
-    return out.select("doc_id", "n_tokens", (F.col("n_head") + F.coalesce("n_rare", F.lit(0))).alias("n_known"), (F.col("base") + log_rare - F.col("n_tokens") * float(np.log10(denominator))).alias("base_score"), (F.col("model") + log_rare).alias("score"))
+    c = F.coalesce("c", F.lit(0))
+    rare = rows.select("rid", F.inline("rare").alias("token", "key", "lp")).join(counts, "token", "left").withColumn("log_c", F.log10(c + ADD)).withColumn("log_before", F.when(F.length("token") > 0, F.log10(c + PRIOR)).otherwise(0.0))
+    # a pair that was never seen has no row in the table of pairs
+    asked = rows.select("rid", F.inline("asked").alias("key", "lp"), F.lit(0.0).alias("log_c"), F.lit(0.0).alias("log_before"), F.lit(0).alias("known"))
+    asked = asked.unionByName(rare.select("rid", "key", (F.col("lp") + F.col("log_c")).alias("lp"), "log_c", "log_before", F.when(F.col("c").isNotNull(), 1).otherwise(0).alias("known")))
+    met = asked.join(pairs, "key", "left").withColumn("log_pair", F.log10(F.coalesce("n", F.lit(0)) + PRIOR * F.pow(F.lit(10.0), F.col("lp"))) - F.col("log_before"))
+    sums = met.groupBy("rid").agg(F.sum("log_c").alias("log_rare"), F.sum("known").alias("n_rare"), F.sum("log_pair").alias("log_pair"))
+    out = rows.drop("asked", "rare").join(sums, "rid", "left")
+    log_rare, log_pair = F.coalesce("log_rare", F.lit(0.0)), F.coalesce("log_pair", F.lit(0.0))
+    return out.select("doc_id", "n_tokens", (F.col("n_head") + F.coalesce("n_rare", F.lit(0))).alias("n_known"), (F.col("base") + log_rare - F.col("n_tokens") * float(np.log10(denominator))).alias("base_score"), (F.col("model") + log_pair).alias("score"))
 
 
 def lm_scores(docs: DataFrame) -> DataFrame:
@@ -335,6 +396,7 @@ def lm_scores(docs: DataFrame) -> DataFrame:
     training = docs.where(~held).select("text")
     counts = stage(count_tokens(training), "counts")
     voc = gather_vocabulary(counts)
-    weights = train(stage(count_histories(training, voc), "histories"))
-    rows = score(docs, voc, weights, counts)
+    cells, pairs = count_histories(training, voc)
+    weights = train(stage(cells, "histories"))
+    rows = score(docs, voc, weights, counts, pairs)
     return rows.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(voc.total).cast("long").alias("train_tokens"), "base_score", "score")

@@ -313,6 +313,19 @@ def test_lm_is_a_distribution():
     assert abs(total - 1) < 1e-5
 
 
+def test_lm_learns_pairs_of_words_without_a_slot(spark):
+    """Two words of one count and one rest, each after its own word, both beyond the words with a slot of their own."""
+    held = [i for i in range(3000) if zlib.crc32(str(i).encode()) % 10 == 0]
+    train = [i for i in range(3000) if zlib.crc32(str(i).encode()) % 10 != 0]
+    filler = [" ".join(f"f{k}" for k in range(a, a + 60)) for a in range(0, 1200, 60)] * 10
+    pairs = ["redly qxalphaing", "bluely qxbetaing"] * 4
+    rows = list(zip(train, filler + pairs)) + list(zip(held, ["redly qxalphaing", "redly qxbetaing"]))
+    got = {r.doc_id: r for r in lm_score.lm_scores(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    same, crossed = got[held[0]], got[held[1]]
+    assert same.base_score == pytest.approx(crossed.base_score) and same.held_out and crossed.held_out
+    assert same.score > crossed.score + 0.5
+
+
 def test_lm_training_is_not_cut():
     """Sizes chosen for the model, not for the check's disk: pairs of codes spread over the rows, and ten rounds of training."""
     import numpy as np
