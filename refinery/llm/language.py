@@ -27,6 +27,9 @@ DIMENSIONS, GRAM, KEPT = 512, 3, 60_000
 SEED = 20_011
 #: Bound of the labelled sample that the prototypes are fitted on: rows a language, about.
 TRAIN_A_LANGUAGE = 20_000
+#: Bounds of the classes of length (n-grams of a text) within which texts are compared with training texts; the low quantile of these,
+#: and how many training texts a class needs.
+LENGTHS, LOW, ENOUGH = (64, 128, 256), 0.05, 20
 
 
 def letter_classes(text: str) -> np.ndarray:
@@ -151,11 +154,18 @@ class Classifier:
         self.names = sorted(known)
         matrix = np.array([known[n] / max(np.linalg.norm(known[n]), 1e-12) for n in self.names]) if known else np.zeros((0, DIMENSIONS))
         self.centre = matrix.mean(axis=0) if len(self.names) > 1 else np.zeros(DIMENSIONS)
+        self.matrix = matrix
         axes = matrix - self.centre
         self.axes = axes / np.maximum(np.linalg.norm(axes, axis=1, keepdims=True), 1e-12)
 
     def __call__(self, encoder: Encoder, text: str | None) -> tuple[str, float]:
-        v = encoder.encode(text) if self.names else None
+        return self.judge(encoder.encode(text) if self.names else None)
+
+    def likeness(self, v: np.ndarray, lang: str) -> float:
+        """Cosine of a bundle with a language's prototype, neither centred: about 0 for what shares no n-grams with the language."""
+        return float(self.matrix[self.names.index(lang)] @ v / max(np.linalg.norm(v), 1e-12))
+
+    def judge(self, v: np.ndarray | None) -> tuple[str, float]:
         n = 0 if v is None else np.linalg.norm(v)
         if not n:
             return "und", 0.0
@@ -190,15 +200,53 @@ def identify(docs: DataFrame) -> DataFrame:
     return predict(docs.select("doc_id", "text"), known).select("doc_id", held.alias("held_out"), "lang_pred", "score")
 
 
-def keep_known(docs: DataFrame, least: float = 0.5) -> DataFrame:
-    """The rows of docs with a recognised language: not `und`, and a score of `least` or more (0.5: a cosine of 0)."""
+def length_class(text: str) -> int:
+    return int(np.searchsorted(LENGTHS, len(letter_classes(text)), side="right"))
+
+
+def low_likeness(labelled: DataFrame, known: dict[str, np.ndarray], most: int = TRAIN_A_LANGUAGE) -> dict[tuple[str | None, int], float]:
+    """(language, class of length): the LOW quantile of the training texts' likeness to their own language. Language None: over all.
+    Classes of fewer than ENOUGH training texts are left out."""
+    classify = Classifier(known)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder = Encoder()
+        for b in batches:
+            found = []
+            for text, lang in zip(b.column("text").to_pylist(), b.column("lang").to_pylist()):
+                v = encoder.encode(text) if lang in known else None
+                if v is not None:
+                    found.append((lang, length_class(text), classify.likeness(v, lang)))
+            langs, lengths, likes = zip(*found) if found else ((), (), ())
+            yield pa.RecordBatch.from_arrays([pa.array(langs, pa.string()), pa.array(lengths, pa.int32()), pa.array(likes, pa.float64())], names=["lang", "length", "likeness"])
+
+    rows = sample_labelled(labelled, most).where("lang is not null").select("text", F.col("lang").cast("string").alias("lang")).mapInArrow(run, "lang string, length int, likeness double")
+    cells = rows.cube("lang", "length").agg(F.percentile("likeness", F.lit(LOW)).alias("low"), F.count(F.lit(1)).alias("n")).where(f"length is not null and n >= {ENOUGH}")
+    return {(r.lang, r.length): r.low for r in cells.collect()}
+
+
+def keep_known(docs: DataFrame, least: float = 0.5, share: float = 0.5) -> DataFrame:
+    """The rows of docs with a recognised language: not `und`, a score of `least` or more (0.5: a cosine of 0), and a likeness to the
+    language of `share` or more of the low quantile that its training texts of like length have (those of all languages, where it has too few;
+    no such cut where all have)."""
     held = F.coalesce(fold(F.col("doc_id"), 4) == 2, F.lit(False))
-    classify = Classifier(profiles(docs.where(~held).select("text", "lang")))
+    training = docs.where(~held).select("text", "lang")
+    known = profiles(training)
+    classify, low = Classifier(known), low_likeness(training, known)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder = Encoder()
+
+        def good(text: str | None) -> bool:
+            v = encoder.encode(text) if known else None
+            lang, score = classify.judge(v)
+            if lang == "und" or score < least:
+                return False
+            length = length_class(text)
+            cut = low.get((lang, length), low.get((None, length)))
+            return cut is None or classify.likeness(v, lang) >= share * cut
+
         for b in batches:
-            found = [classify(encoder, t.as_py()) for t in b.column("text")]
-            yield b.filter(pa.array([lang != "und" and score >= least for lang, score in found], pa.bool_()))
+            yield b.filter(pa.array([good(t.as_py()) for t in b.column("text")], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)

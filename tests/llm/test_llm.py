@@ -188,6 +188,18 @@ def test_language_cases(spark, odd):
     assert abs((whole @ half) / math.sqrt((whole @ whole) * (half @ half)) - 1) < 1e-6
 
 
+def test_language_stage_rejects_gibberish_and_unseen_languages(spark, sf):
+    rng = random.Random(4)
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang").where("length(text) >= 300")
+    known, unseen = docs.where("lang <> 'es'"), docs.where("lang = 'es'").withColumn("lang", F.lit(None).cast("string"))
+    noise = [(10**9 + k, " ".join("".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randrange(2, 10))) for _ in range(150)), None) for k in range(20)]
+    noise.append((10**9 + 20, "for (int i = 0; i < n; i++) { if (x[i] == null) return fprintf(stderr, q); } static const uint32_t kv = 0x3f; " * 5, None))
+    kept = {r.doc_id for r in language.keep_known(known.unionByName(unseen).unionByName(spark.createDataFrame(noise, docs.schema))).collect()}
+    assert not any(k in kept for k, _, _ in noise)
+    ids = lambda d: {r.doc_id for r in d.collect()}
+    assert len(ids(unseen) & kept) <= 0.1 * unseen.count() and len(ids(known) & kept) >= 0.98 * known.count()
+
+
 def test_token_counts_after_random_edits():
     counter, rng = token_counts.Counter(), random.Random(5)
     texts = ["  a  b\n\n c's x'll", "", "x", "   ", "Straße 12-3 naïve b c \x1c d 漢字 🙂 " * 40, "word " * 2000]
