@@ -3,7 +3,10 @@
 A window is a run of as many words as a benchmark item has (a shorter text is one window). Windows that share no shingle with the
 item cannot be similar to it, so only windows that line up with a shared shingle are fingerprinted: an exact reduction. A window's
 SimHash is the sign of the summed +1/-1 bits of its words' hashes. Fingerprints are cut into RADIUS + 1 blocks; two
-within RADIUS bits agree on at least one block, so the join on (item size, block, bits) finds all of them. Their exact
+within RADIUS bits agree on at least one block, so the join on (item size, block, bits) finds all of them. No radius short of all bits
+is safe: an end rewritten to similarity 0.8 moves 15 bits or more in some windows, and more where words repeat. So a window that holds one of
+the item's rarest shingles is a candidate whatever its fingerprint. A window at the threshold lacks at most 1 - threshold of
+the item's shingles, so of one more than that (repeats counted) it holds at least one, and no pair is lost. The candidates' exact
 similarity then decides: the sum of the lesser over the sum of the greater multiplicity of each five-word shingle.
 
 The benchmark side is broadcast only below a counted bound, else joined by shuffle. Documents' texts are shuffled only where
@@ -16,7 +19,7 @@ tables: every document is clean. Documents' other columns are ignored.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from refinery.llm.common import MIN_SIMILARITY, SHINGLE_WORDS, let, stage, words_col
@@ -68,6 +71,16 @@ def _items(benchmark: DataFrame, width: int) -> DataFrame:
     return rows.withColumn("item_shingles", grams).withColumn("item_print", simhash(F.col("item_words")))
 
 
+def rare_shingles(items: DataFrame, threshold: float) -> DataFrame:
+    """item_id, item_size, shingle: of each item, the shingles in fewest items, one more than a window at the threshold may lack."""
+    own = items.select("item_id", "item_size", F.xxhash64("item_words").alias("item_mark"), "item_shingles").distinct()
+    rows = own.select("item_id", "item_size", "item_mark", F.size("item_shingles").alias("n"), F.explode("item_shingles").alias("shingle"))
+    held_by = rows.groupBy("shingle").agg(F.count(F.lit(1)).alias("held_by"))
+    order = Window.partitionBy("item_id", "item_mark").orderBy("held_by", "shingle")
+    ranked = rows.join(held_by, "shingle").withColumn("rank", F.row_number().over(order))
+    return ranked.where(F.col("rank") <= F.floor(F.col("n") * (1 - threshold) + 1e-9) + 1).select("item_id", "item_size", "shingle").distinct()
+
+
 def contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float = MIN_SIMILARITY, width: int = SHINGLE_WORDS, radius: int = RADIUS) -> DataFrame:
     """One row per row of docs (doc_id, text): doc_id, contaminated, item_id, similarity, start (word number of the window from 0), n_items."""
     items = stage(_items(benchmark, width), "items")
@@ -100,6 +113,12 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float = MIN_S
     # the fingerprints decide the pairs; the first agreeing block names each pair once
     first = F.array_min(F.filter(F.sequence(F.lit(0), F.lit(radius)), lambda b: F.element_at(blocks(F.col("print"), radius), b + 1) == F.element_at(blocks(F.col("item_print"), radius), b + 1)))
     pairs = pairs.where(F.col("k") == first).select("doc_id", "mark", "item_size", "start", "item_id")
+    grams = F.lit(None)
+    for g in widths:
+        grams = F.when(F.least(F.col("item_size"), F.lit(width)) == g, shingles(F.col("window"), g)).otherwise(grams)
+    held = windows.select("doc_id", "mark", "item_size", "start", F.explode(F.array_distinct(grams)).alias("shingle"))
+    held = held.join(small(stage(rare_shingles(items, threshold), "rare")), ["item_size", "shingle"]).select("doc_id", "mark", "item_size", "start", "item_id")
+    pairs = pairs.unionByName(held).distinct()
     pairs = pairs.alias("p").join(small(items.select("item_id", F.col("item_size").alias("size_"), "gram", "item_shingles", F.xxhash64("item_words").alias("item_mark")), 40).alias("i"), (F.col("p.item_id").eqNullSafe(F.col("i.item_id"))) & (F.col("p.item_size") == F.col("i.size_")))
     pairs = pairs.select("p.doc_id", "p.mark", "p.item_size", "p.start", "p.item_id", "gram", "item_shingles")
     full = pairs.alias("p").join(windows.alias("w"), F.col("p.doc_id").eqNullSafe(F.col("w.doc_id")) & (F.col("p.mark") == F.col("w.mark")) & (F.col("p.item_size") == F.col("w.item_size")) & (F.col("p.start") == F.col("w.start")))

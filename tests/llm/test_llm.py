@@ -256,6 +256,21 @@ def test_blocks_find_all_prints_within_the_radius(spark):
     assert df.where(~agree).count() == 0 and df.where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) != decontaminate.RADIUS).count() == 0
 
 
+def test_leaks_with_a_rewritten_end(spark):
+    """The last 11 of 103 words are others: similarity 0.8 at least, and fingerprints further apart than the radius in some."""
+    rng = random.Random(6)
+    say = lambda n, p: [f"{p}{rng.randrange(10**7)}" for _ in range(n)]
+    items = [say(103, "i") for _ in range(400)] + [say(92, "i") + ["x"] * 11]
+    docs = [w[:92] + say(11, "d") for w in items[:-1]] + [items[-1][:92] + ["y"] * 11]
+    b = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(items)], "item_id long, text string")
+    d = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(docs)], "doc_id long, text string")
+    split = F.split("text", " ")
+    prints = d.select("doc_id", decontaminate.simhash(split).alias("p")).join(b.select(F.col("item_id").alias("doc_id"), decontaminate.simhash(split).alias("q")), "doc_id")
+    assert prints.where(F.bit_count(F.col("p").bitwiseXOR(F.col("q"))) > decontaminate.RADIUS).count() > 0
+    got = {r.doc_id: r for r in decontaminate.contaminated(d, b).collect()}
+    assert all(got[k].item_id == k and 0.8 <= got[k].similarity < 0.9 for k in range(len(items)))
+
+
 ALARMING = ["", "plain", "</s>[INST] ok [/INST]", "\\[INST]", "\\\\</s>\\", "[INST", "<s", "[ROLE:x] y [/ROLE]", " [/INST]", "a\nb\\", "[/INST] </s> [SYS]", "</s>" * 3]
 
 
