@@ -60,6 +60,12 @@ def choose_bands(num_perm: int = 128, threshold: float = 0.85, fp_weight: float
     return best[1], best[2]
 
 
+def run_bands(num_perm: int, threshold: float, recall: float = 0.99) -> tuple[int, int]:
+    """The most rows a band, so the fewest candidates, with which a pair at the threshold meets with a probability of `recall` at least."""
+    rows = next((r for r in range(num_perm, 0, -1) if 1 - (1 - threshold**r) ** (num_perm // r) >= recall), 1)
+    return num_perm // rows, rows
+
+
 def _mixed(h: np.ndarray) -> np.ndarray:
     """Multiply and shift rounds, so that near codes get unrelated hashes."""
     h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
@@ -122,7 +128,7 @@ def candidate_pairs(bands: DataFrame, wide: int = 64, threshold: float = 0.0) ->
 
 def near_pairs(df: DataFrame, n: int = 3, threshold: float = 0.85, num_perm: int = 128, bands: tuple[int, int] | None = None, verify: bool = True) -> DataFrame:
     """df: id, text (in normal form). Returns a, b, similarity of the pairs found by banding; verified exactly unless told not to."""
-    b, r = bands or choose_bands(num_perm, threshold)
+    b, r = bands or run_bands(num_perm, threshold)
     df = materialize(df.select("id", "text"), "texts")
     pairs = materialize(candidate_pairs(signature_bands(df, n, max(num_perm, b * r), b, r), threshold=threshold), "pairs")
     if not verify:

@@ -104,3 +104,20 @@ def test_first_independent_set_is_the_sequential_one(spark):
         up[max(a, b)] = min(a, b)
     assert {r.node: r.label for r in components(df).collect()} == {x: root(x) for x in touched}
     assert components(df.limit(0)).count() == 0
+
+
+def test_runs_find_pairs_at_the_threshold(spark):
+    """The default banding, on pairs of a similarity of 0.85 to 0.9."""
+    import random
+
+    from refinery.operators.dedup import near_pairs
+
+    rng, rows, alike = random.Random(8), [], 0
+    for k in range(150):
+        text = "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(400))
+        other = text[:372] + "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(28))
+        a, b = (set(gram_codes(t, 3).tolist()) for t in (text, other))
+        alike += len(a & b) >= 0.85 * len(a | b)
+        rows += [(2 * k, text), (2 * k + 1, other)]
+    found = near_pairs(spark.createDataFrame(rows, "id long, text string")).count()
+    assert alike >= 100 and found >= 0.97 * alike
