@@ -330,7 +330,8 @@ def measure_capabilities(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def workload_full_run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Usage pattern 4: documents through hygiene, QA generation, all gates and the refiner; the counts of each step."""
+    """Part of usage pattern 4: documents through secrets, personal data, QA generation, grounding, reward and the refiner; the counts of each step.
+    Not the whole: no recovery or diagnostics, no toxicity or diversity gate, no pages."""
     from refinery.config import CurationConfig
     from refinery.plans.run import Curation
     from refinery.queries.base import doc_records

@@ -121,3 +121,12 @@ def test_runs_find_pairs_at_the_threshold(spark):
         rows += [(2 * k, text), (2 * k + 1, other)]
     found = near_pairs(spark.createDataFrame(rows, "id long, text string")).count()
     assert alike >= 100 and found >= 0.97 * alike
+
+
+def test_runs_refuse_settings_without_effect():
+    from refinery.plans.run import build
+
+    assert [x.name for x in build(CurationConfig(task="qa", gates=("grounding",)))][-1] == "grounding_gate"
+    for odd in ({"recovery": "adaptive"}, {"recovery": "retry"}, {"probe_on": ("reward",)}, {"probe_max_calls": 3}, {"task": "preference"}, {"num_turns": 5}):
+        with pytest.raises(ValueError, match=next(iter(odd))):
+            build(CurationConfig(**odd))
