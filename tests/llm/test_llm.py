@@ -80,18 +80,28 @@ def classes(ids, edges):
     return {i: root(i) for i in ids}
 
 
+def assert_join(rows, texts):
+    """Classes as by brute force; every kept link is one of brute force's; no class is without a link for each of its texts."""
+    ids, edges = brute_links(texts)
+    of, linked = classes(ids, edges), set(edges) | {(b, a) for a, b in edges}
+    assert {r.doc_id: r.class_id for r in rows} == of
+    alone = Counter(of.values())
+    for r in rows:
+        assert (r.n_links > 0) == (alone[r.class_id] > 1) and (r.link_id is None or (r.text_id, r.link_id) in linked and r.link_similarity >= 0.8)
+        assert r.text_id == r.doc_id or (r.text_id, r.doc_id) in linked
+
+
 def test_join_against_brute_force(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
-    ids, edges = brute_links({r.doc_id: r.text for r in docs.collect()})
-    n, of = Counter(x for e in edges for x in e), classes(ids, edges)
-    rows = QUERIES["op1_jaccard_join"](spark, sf).collect()
-    assert {r.doc_id: (r.class_id, r.n_links) for r in rows} == {i: (of[i], n[i]) for i in ids}
+    assert_join(QUERIES["op1_jaccard_join"](spark, sf).collect(), {r.doc_id: r.text for r in docs.collect()})
 
 
-def test_join_with_large_buckets_and_many_blocks(spark, monkeypatch):
-    """One star of near copies, past the brute-force limit, split and compared in blocks."""
+@pytest.mark.parametrize("depth", [jaccard_join.DEPTH, 1])
+def test_join_with_large_buckets_and_many_blocks(spark, monkeypatch, depth):
+    """One star of near copies, past the brute-force limit, dealt to blocks and split; and a passage that unlike texts share."""
     monkeypatch.setattr(jaccard_join, "LIMIT", 20)
     monkeypatch.setattr(jaccard_join, "BLOCK", 16)
+    monkeypatch.setattr(jaccard_join, "DEPTH", depth)
     rng = random.Random(3)
     base = [f"w{k}" for k in range(120)]
     texts = {}
@@ -100,12 +110,31 @@ def test_join_with_large_buckets_and_many_blocks(spark, monkeypatch):
         for _ in range(rng.randrange(0, 4)):
             t[rng.randrange(len(t))] = f"x{rng.randrange(10**6)}"
         texts[i] = " ".join(t)
-    for i in range(90, 140):  # a passage that unlike texts share
+    for i in range(90, 140):
         texts[i] = " ".join([f"y{i}_{k}" for k in range(100)] + base[:40])
-    ids, edges = brute_links(texts)
-    n, of = Counter(x for e in edges for x in e), classes(ids, edges)
+    assert_join(jaccard_join.similarity_classes(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect(), texts)
+
+
+def test_join_of_a_group_of_thousands_is_linear(spark):
+    """3,000 near copies of one text and 300 pairs at the threshold: classes as planted, and links in proportion to texts."""
+    rng = random.Random(8)
+    base, texts, want = [f"w{k}" for k in range(150)], {}, {}
+    for i in range(3000):
+        t = list(base)
+        for _ in range(rng.randrange(1, 3)):
+            t[rng.randrange(len(t))] = f"x{rng.randrange(10**7)}"
+        texts[i], want[i] = " ".join(t), 0
+    for i in range(3000, 3600, 2):  # the last 10 of 100 words are others: 86 shingles of 106, similarity 0.811
+        t = [f"p{i}_{k}" for k in range(100)]
+        texts[i], texts[i + 1] = " ".join(t), " ".join(t[:90] + [f"q{i}_{k}" for k in range(10)])
+        want[i] = want[i + 1] = i
     rows = jaccard_join.similarity_classes(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()
-    assert {r.doc_id: (r.class_id, r.n_links) for r in rows} == {i: (of[i], n[i]) for i in ids}
+    group, pairs = [r for r in rows if r.doc_id < 3000], [r for r in rows if r.doc_id >= 3000]
+    least = Counter(r.class_id for r in group)
+    assert max(least.values()) >= 0.99 * 3000  # a copy further than 0.8 from all others stays alone
+    assert all(r.class_id == 0 or brute_links({r.doc_id: texts[r.doc_id], **{k: texts[k] for k in range(0, 3000, 7) if k != r.doc_id}})[1] == [] or least[r.class_id] > 1 for r in group)
+    assert sum(r.class_id == want[r.doc_id] for r in pairs) >= 0.99 * len(pairs)
+    assert sum(r.n_links for r in rows) < 40 * len(rows)
 
 
 def test_main_text(spark, sf):
