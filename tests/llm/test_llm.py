@@ -271,6 +271,43 @@ def test_leaks(spark):
     assert all(not r.contaminated for r in decontaminate.contaminated(d, b.limit(0)).collect())
 
 
+def brute_leaks(docs, items, threshold=0.8):
+    """All windows of all texts against all items, without fingerprints or shared places."""
+    bag = lambda w, g: Counter(tuple(w[k : k + g]) for k in range(len(w) - g + 1))
+    out = {}
+    for i, text in docs.items():
+        for j, item in items.items():
+            g = min(5, len(item))
+            own = bag(item, g)
+            for start in range(max(len(text) - len(item), 0) + 1):
+                window = bag(text[start : start + len(item)], g)
+                s = (window & own).total() / max((window | own).total(), 1)
+                if s >= threshold and (-s, j, start) < out.get(i, (1,)):
+                    out[i] = (-s, j, start)
+    return out
+
+
+def test_leaks_in_windows_that_no_shared_shingle_lines_up_with(spark):
+    """Words out before and in after: only windows between the two places reach the threshold; and random cuts, repeats and ends."""
+    rng = random.Random(11)
+    say = lambda n, p: [f"{p}{rng.randrange(10**6)}" for _ in range(n)]
+    items = {k: say(n, "i") for k, n in enumerate((84, 84, 60, 7, 5, 3, 1, 120))}
+    items[8] = ["so", "it", "is"] * 12
+    items[9] = list(items[2])
+    docs = {0: say(20, "d") + items[0][2:40] + say(3, "n") + items[0][40:82] + say(20, "d"), 1: items[8][:30], 2: ["so", "it", "is"] * 40, 3: items[7][:100], 4: items[7][10:], 5: say(9, "d") + items[6] + items[3]}
+    for k in range(6, 60):
+        item = list(items[rng.choice((0, 1, 2, 7))])
+        for _ in range(rng.randrange(4)):
+            at = rng.randrange(len(item))
+            item[at : at + rng.randrange(3)] = say(rng.randrange(4), "r")
+        docs[k] = say(rng.randrange(30), "d") + item[rng.randrange(4) : len(item) - rng.randrange(8)] + say(rng.randrange(30), "d")
+    d = spark.createDataFrame([(k, " ".join(v)) for k, v in docs.items()], "doc_id long, text string")
+    b = spark.createDataFrame([(k, " ".join(v)) for k, v in items.items()], "item_id long, text string")
+    want = brute_leaks(docs, items)
+    got = {r.doc_id: (r.item_id, r.start, round(r.similarity, 9)) for r in decontaminate.contaminated(d, b).collect() if r.contaminated}
+    assert got == {k: (j, start, round(-s, 9)) for k, (s, j, start) in want.items()} and 0 in got and 20 < len(got) < 60
+
+
 def test_blocks_find_all_prints_within_the_radius(spark):
     rng = random.Random(2)
     pairs = []
