@@ -2,18 +2,22 @@
 
 Text is cut where a character that isn't white space is followed by one that is: no pre-token of the byte-level BPE pattern
 spans such a place, and no pre-token depends on what lies beyond it, so a text's count is the sum of its pieces'
-counts. A document keeps its pieces in leaves, and a segment tree over the leaves holds (characters, tokens). An edit
-finds its leaves by descending on characters, widens to the leaves of the characters next to it (the boundary context: an edit may
-join two pieces or part one), re-encodes only those, and updates the sums above them. Leaves that outgrow their bound are dealt anew.
+counts. Long pieces are cut further where an ASCII letter, digit or sign is followed by one of another of these kinds, but for an
+apostrophe before (it may begin a contraction): pre-tokens end there as well. A document keeps its pieces in leaves, and a segment
+tree over the leaves holds (characters, tokens). An edit finds its leaves by descending on characters, widens to the leaves of
+the characters next to it (the boundary context: an edit may join two pieces or part one), re-encodes only those, and updates the sums
+above them. A leaf that outgrows its bound is split; the other leaves keep their counts, and only sums are added anew.
 
 Runs in mapInArrow, a document at a time; memory is bounded by the longest text, a vocabulary and a bounded memory of
-piece counts. Defined results: null and empty texts have 0 tokens; edits beyond the end are clipped; a null edit list edits nothing.
-Special tokens' strings count as ordinary text.
+piece counts. A pre-token longer than a leaf (letters or white space without end) is one piece, since BPE merges run through all of it.
+Defined results: null and empty texts have 0 tokens; edits beyond the end are clipped; a null edit list edits nothing.
+Special tokens' strings count as ordinary text. `vocabulary` is a path on every executor; a missing file is an error that names it.
 """
 
 from __future__ import annotations
 
 import base64
+import os
 import re
 from collections.abc import Iterator
 
@@ -26,21 +30,35 @@ PATTERN = r"""'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S
 WHITE = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 PIECE = re.compile(f"[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
 VOCABULARY = "/opt/tokenizers/byte_bpe_50k.tiktoken"
-#: Pieces in a new leaf, characters at which a leaf is dealt anew, piece counts remembered.
-LEAF, FULL, REMEMBERED = 64, 8_192, 400_000
+#: In a long piece, where ASCII letters, digits and signs meet.
+MEET = re.compile(r"(?<=[A-Za-z])(?=[0-9])|(?<=[0-9])(?=[A-Za-z])|(?<=[A-Za-z0-9])(?=[!-/:-@\[-`{-~])|(?<=[!-&(-/:-@\[-`{-~])(?=[A-Za-z0-9])")
+#: Pieces and characters in a new leaf, characters at which a leaf is split, length of a long piece, piece counts remembered.
+LEAF, LEAF_CHARS, FULL, LONG, REMEMBERED = 64, 2_048, 8_192, 256, 400_000
+
+
+def pieces_of(text: str) -> list[str]:
+    found = PIECE.findall(text)
+    if max(map(len, found), default=0) <= LONG:
+        return found
+    return [x for p in found for x in (MEET.split(p) if len(p) > LONG else (p,))]
 
 
 class Counter:
     """Token counts of texts, piece by piece, with bounded memory."""
 
     def __init__(self, vocabulary: str = VOCABULARY):
+        if not os.path.exists(vocabulary):
+            raise FileNotFoundError(f"no vocabulary at {vocabulary!r} on this executor; pass vocabulary= or ship the file to it")
         with open(vocabulary, "rb") as f:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         self.encoding = tiktoken.Encoding("counts", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={})
         self.known: dict[str, int] = {}
+        #: Characters of the pieces asked for, and of those not remembered, which were encoded.
+        self.given = self.encoded = 0
 
     def pieces(self, pieces: list[str]) -> int:
         known = self.known
+        self.given += sum(map(len, pieces))
         try:
             return sum(map(known.__getitem__, pieces))
         except KeyError:
@@ -50,10 +68,23 @@ class Counter:
         for p in pieces:
             if p not in known:
                 known[p] = len(self.encoding.encode_ordinary(p))
+                self.encoded += len(p)
         return sum(map(known.__getitem__, pieces))
 
     def text(self, text: str) -> int:
-        return self.pieces(PIECE.findall(text))
+        return self.pieces(pieces_of(text))
+
+
+def leaves_of(text: str) -> list[list[str]]:
+    """The pieces of a text in groups of LEAF, or of LEAF_CHARS characters."""
+    out, held = [[]], 0
+    for p in pieces_of(text):
+        if len(out[-1]) >= LEAF or held and held + len(p) > LEAF_CHARS:
+            out.append([])
+            held = 0
+        out[-1].append(p)
+        held += len(p)
+    return out
 
 
 class SegmentTree:
@@ -61,18 +92,18 @@ class SegmentTree:
 
     def __init__(self, text: str, counter: Counter):
         self.counter, self.reencoded = counter, 0
-        self._deal(text)
+        groups = leaves_of(text)
+        self._deal([("".join(g), counter.pieces(g)) for g in groups])
 
-    def _deal(self, text: str) -> None:
-        pieces = PIECE.findall(text)
-        groups = [pieces[k : k + LEAF] for k in range(0, len(pieces), LEAF)] or [[]]
-        self.leaves = ["".join(g) for g in groups]
+    def _deal(self, leaves: list[tuple[str, int]]) -> None:
+        """The tree over leaves and their tokens, which are counted already."""
+        self.leaves = [t for t, _ in leaves]
         self.width = 1
-        while self.width < len(groups):
+        while self.width < len(leaves):
             self.width *= 2
         self.chars, self.tokens = [0] * (2 * self.width), [0] * (2 * self.width)
-        for k, g in enumerate(groups):
-            self.chars[self.width + k], self.tokens[self.width + k] = len(self.leaves[k]), self.counter.pieces(g)
+        for k, (text, n) in enumerate(leaves):
+            self.chars[self.width + k], self.tokens[self.width + k] = len(text), n
         for k in range(self.width - 1, 0, -1):
             self._add(k)
 
@@ -106,8 +137,8 @@ class SegmentTree:
         start = max(0, min(start, self.n_chars))
         end = max(start, min(end, self.n_chars))
         if not self.n_chars:
-            self._deal(new)
             self.reencoded += len(new)
+            self._deal([("".join(g), self.counter.pieces(g)) for g in leaves_of(new)])
             return
         first, at = self.find(max(0, start - 1))
         at += start - max(0, start - 1)
@@ -115,12 +146,14 @@ class SegmentTree:
         to += end - min(end, self.n_chars - 1)
         changed = self.leaves[first][:at] + new + self.leaves[last][to:]
         self.reencoded += len(changed)
+        if len(changed) > FULL:
+            fresh = [("".join(g), self.counter.pieces(g)) for g in leaves_of(changed)]
+            own = list(zip(self.leaves, self.tokens[self.width :]))
+            self._deal([x for x in own[:first] + fresh + own[last + 1 :] if x[0]])
+            return
         self.leaves[first] = changed
         for k in range(first + 1, last + 1):
             self.leaves[k] = ""
-        if len(changed) > FULL:
-            self._deal(self.text())
-            return
         touched = set()
         for k in range(first, last + 1):
             node = self.width + k
