@@ -9,8 +9,9 @@ middle, so inverting the demand gives its position. The last copy of a source is
 Prefix sums are taken in two steps, over hash cells of a source and then inside a cell, so a source with most rows
 is spread over as many tasks as it needs.
 
-Defined results: a null text has size 0; size-0 documents are never taken. Null sources come last and form one source.
-Repeated rows count each. An empty table gives an empty result. Other columns are ignored by `schedule`.
+Defined results: a null text has size 0; size-0 documents are never taken. Null sources come last and form one source. A source
+without words has target 0 and gives nothing; its weight stays with the others. Repeated rows count each, also where they share a doc_id
+but not the text. An empty table gives an empty result. Other columns are ignored by `schedule`.
 """
 
 from __future__ import annotations
@@ -70,31 +71,40 @@ def time_at(share: Column, knots) -> Column:
 def schedule(docs: DataFrame, weights=WEIGHTS, shapes=SHAPES, budget: float = BUDGET, most: float = MOST, seed: str = SEED) -> DataFrame:
     """One row per document: doc_id, source, size, source_size, target, taken, and copies, an array of
     struct(pass, words, position); position lies between 0 and 1."""
-    rows = docs.select("doc_id", "source", size_of(F.col("text")).alias("size"))
+    rows = stage(_dealt(docs.select("doc_id", "source", size_of(F.col("text")).alias("size")), seed), "mix-sizes")
+    return _scheduled(rows, [], weights, shapes, budget, most)
+
+
+def _dealt(rows: DataFrame, seed: str) -> DataFrame:
+    """Adds rank, the hash order of a source's rows, and its cell."""
     rank = F.md5(F.concat(F.lit(seed), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
-    rows = stage(rows.withColumn("rank", rank).withColumn("cell", F.conv(F.substring("rank", 1, 3), 16, 10).cast("int")), "mix-sizes")
+    return rows.withColumn("rank", rank).withColumn("cell", F.conv(F.substring("rank", 1, 3), 16, 10).cast("int"))
+
+
+def _scheduled(rows: DataFrame, more: list[str], weights, shapes, budget: float, most: float) -> DataFrame:
+    """rows: doc_id, source, size, rank, cell and the columns `more`, which pass through; the first of them orders rows of one doc_id and size."""
     cells = stage(rows.groupBy("source", "cell").agg(F.sum("size").alias("cell_size")), "mix-cells")
     of_source = targets(cells.groupBy("source").agg(F.sum("cell_size").alias("source_size")), weights, budget, most)
     by_cell = Window.partitionBy("source").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
     cells = cells.withColumn("cell_start", F.coalesce(F.sum("cell_size").over(by_cell), F.lit(0)))
     cells = cells.alias("c").join(of_source.alias("s"), F.col("c.source").eqNullSafe(F.col("s.source"))).select("c.source", "cell", "cell_start", "source_size", "slot", "target")
-    inside = Window.partitionBy("source", "cell").orderBy("rank", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
+    inside = Window.partitionBy("source", "cell").orderBy("rank", "doc_id", "size", *more[:1]).rowsBetween(Window.unboundedPreceding, -1)
     rows = rows.withColumn("in_cell", F.coalesce(F.sum("size").over(inside), F.lit(0)))
     rows = rows.alias("r").join(cells.alias("c"), F.col("r.source").eqNullSafe(F.col("c.source")) & (F.col("r.cell") == F.col("c.cell")))
-    rows = rows.select("doc_id", "r.source", "size", "source_size", "slot", "target", (F.col("cell_start") + F.col("in_cell")).alias("start"))
+    rows = rows.select("doc_id", "r.source", *more, "size", "source_size", "slot", "target", (F.col("cell_start") + F.col("in_cell")).alias("start"))
     passes = int(most) + (most > int(most))
     copies = []
     for e in range(passes):
         at = F.col("start") + F.col("source_size") * e
         words = F.least(F.greatest(F.floor(F.col("target")) - at, F.lit(0)), F.col("size")).cast("long")
-        share = (at + words / 2) / F.col("target")
+        share = F.try_divide(at + words / 2, F.col("target"))
         when = F.lit(None).cast("double")
         for k, knots in enumerate(shapes):
             when = F.when(F.col("slot") == k, time_at(share, knots)).otherwise(when)
         copies.append(F.struct(F.lit(e).alias("pass"), words.alias("words"), when.alias("position")))
     rows = rows.withColumn("copies", F.filter(F.array(*copies), lambda c: c["words"] > 0))
     taken = F.aggregate("copies", F.lit(0).cast("long"), lambda a, c: a + c["words"])
-    return rows.select("doc_id", "source", "size", "source_size", "target", taken.alias("taken"), "copies")
+    return rows.select("doc_id", "source", *more, "size", "source_size", "target", taken.alias("taken"), "copies")
 
 
 def range_sorted(rows: DataFrame, position: str) -> DataFrame:
@@ -102,14 +112,14 @@ def range_sorted(rows: DataFrame, position: str) -> DataFrame:
     return rows.repartitionByRange(F.col(position), F.col("doc_id")).sortWithinPartitions(position, "doc_id")
 
 
-def training_order(docs: DataFrame, **options) -> DataFrame:
+def training_order(docs: DataFrame, weights=WEIGHTS, shapes=SHAPES, budget: float = BUDGET, most: float = MOST, seed: str = SEED) -> DataFrame:
     """The documents in training order: one row for each copy that the mix takes, with the columns of `docs` and
-    mix_pass, mix_words, mix_position (named so that they clash with no column of documents). Rows that share a doc_id
-    share its earliest position."""
-    plan = schedule(docs, **options).select(F.col("doc_id").alias("mix_doc_id"), F.explode("copies").alias("c"))
-    plan = plan.groupBy("mix_doc_id", F.col("c.pass").alias("mix_pass")).agg(F.max("c.words").alias("mix_words"), F.min("c.position").alias("mix_position"))
-    rows = docs.join(plan, F.col("doc_id").eqNullSafe(F.col("mix_doc_id"))).drop("mix_doc_id")
-    return range_sorted(rows, "mix_position")
+    mix_pass, mix_words, mix_position (named so that they clash with no column of documents). Rows carry their columns through the
+    prefix sums, so rows that share a doc_id keep words and positions of their own."""
+    rows = docs.select("doc_id", "source", size_of(F.col("text")).alias("size"), F.xxhash64("source", "text").alias("mark"), F.struct("*").alias("row"))
+    plan = _scheduled(_dealt(rows, seed), ["mark", "row"], weights, shapes, budget, most).select("row", F.explode("copies").alias("c"))
+    out = plan.select("row.*", F.col("c.pass").alias("mix_pass"), F.col("c.words").alias("mix_words"), F.col("c.position").alias("mix_position"))
+    return range_sorted(out, "mix_position")
 
 
 ORACLE = r"""
