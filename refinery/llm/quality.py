@@ -29,12 +29,15 @@ from refinery.llm.common import WORD_RE
 SYMBOLS = "#*$%&|<>"
 SYMBOL = re.compile(r"[#*$%&|<>]")
 SEPARATORS = frozenset(("|", "»", ">", "/", "·", "•"))
-#: Phrases of site notices.
-BOILERPLATE = re.compile(
-    r"^\W*(we use cookies|this (web)?site uses cookies|accept (all )?cookies|privacy policy|terms of (use|service)|all rights reserved|copyright (©|\(c\))|©|subscribe to|sign up (for|to)|log ?in|share (this|on)|follow us|read more|click here|skip to (main )?content|back to top|javascript is)"
-    r"|(all rights reserved|privacy policy|terms of (use|service))\W*$",
-    re.I,
+#: Phrases of site notices that begin a line, in English, German, French and Spanish; and those that may end one.
+NOTICES = (
+    r"we use cookies|this (web)?site uses cookies|accept (all )?cookies|privacy policy|terms of (use|service)|all rights reserved|copyright (©|\(c\))|©|subscribe to|sign up (for|to)|log ?in|share (this|on)|follow us|read more|click here|skip to (main )?content|back to top|javascript is",
+    r"wir verwenden cookies|diese (web)?seite verwendet cookies|alle cookies akzeptieren|datenschutzerklärung|nutzungsbedingungen|alle rechte vorbehalten|newsletter abonnieren|jetzt (anmelden|registrieren)|folgen sie uns|weiterlesen|hier klicken|zum inhalt springen|nach oben",
+    r"nous utilisons des cookies|ce site utilise des cookies|accepter (tous )?les cookies|politique de confidentialité|conditions d.utilisation|tous droits réservés|abonnez-vous|inscrivez-vous|partager (sur|cet article)|suivez-nous|lire la suite|cliquez ici|aller au contenu|retour en haut",
+    r"(usamos|utilizamos) cookies|este sitio (web )?(usa|utiliza) cookies|aceptar (todas )?las cookies|política de privacidad|(términos|condiciones) de uso|todos los derechos reservados|suscríbete|regístrate|compartir en|síguenos|leer más|haz clic aquí|ir al contenido|volver arriba",
 )
+CLOSINGS = r"all rights reserved|privacy policy|terms of (use|service)|alle rechte vorbehalten|tous droits réservés|todos los derechos reservados"
+BOILERPLATE = re.compile(rf"^\W*({'|'.join(NOTICES)})|({CLOSINGS})\W*$", re.I)
 SENTENCE_MARK = re.compile(r"[.!?…:;\"”»]")
 #: Fixed values of the base rules and of the method.
 MIN_WORDS, MAX_REPEAT_PERCENT, MAX_LOST = 50, 50, 0.3
@@ -140,14 +143,22 @@ def assess(docs: DataFrame, with_text: bool = False) -> DataFrame:
 
 
 def keep_good(docs: DataFrame) -> DataFrame:
-    """The rows of docs that are kept, columns and texts as they came. A filter in the same pass: no join by id."""
+    """The rows of docs that are kept, their text without the failed lines (n_chars with it, where docs has one), other columns as they
+    came. A filter in the same pass: no join by id."""
     schema = docs.schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             k = b.schema.get_field_index("text")
-            mask = pa.array([judge(t.as_py())[0]["kept"] for t in b.column(k)], pa.bool_())
-            yield b.filter(mask)
+            judged = [judge(t.as_py()) for t in b.column(k)]
+            kept = pa.array([counts["kept"] for counts, _ in judged], pa.bool_())
+            texts = [good for counts, good in judged if counts["kept"]]
+            b = b.filter(kept)
+            b = b.set_column(k, b.schema.field(k), pa.array(texts, pa.string()).cast(b.schema.field(k).type))
+            if "n_chars" in b.schema.names:
+                n = b.schema.get_field_index("n_chars")
+                b = b.set_column(n, b.schema.field(n), pa.array([len(t) for t in texts], pa.int64()).cast(b.schema.field(n).type))
+            yield b
 
     return docs.mapInArrow(run, schema)
 
@@ -164,11 +175,11 @@ l1 as (select row_id, line, n_lines, regexp_extract_all(line, '[^\x20\x09-\x0D]+
 l2 as (select row_id, line, n_lines, again, len(ws) as n, len(list_filter(ws, lambda v: v in ('|', '»', '>', '/', '·', '•'))) as seps,
   len(list_filter(ws, lambda v: regexp_matches(v, '[#*$%&|<>]'))) as syms, len(list_filter(range(1, len(ws)), lambda k: lower(ws[k]) = lower(ws[k + 1]))) as twice from l1),
 l3 as (select row_id, n, again, again or (syms > 0 and n >= 3 and seps >= n * (1.0::double / 3)) or (syms > 0 and syms >= 0.3::double * n) or (n >= 6 and 2 * twice >= 0.5 * n)
-  or (n <= 25 and regexp_matches(line, '(?i)^[^\pL\pN_]*(we use cookies|this (web)?site uses cookies|accept (all )?cookies|privacy policy|terms of (use|service)|all rights reserved|copyright (©|\(c\))|©|subscribe to|sign up (for|to)|log ?in|share (this|on)|follow us|read more|click here|skip to (main )?content|back to top|javascript is)|(all rights reserved|privacy policy|terms of (use|service))[^\pL\pN_]*$'))
+  or (n <= 25 and regexp_matches(line, '(?i)^[^\pL\pN_]*(@notices@)|(@closings@)[^\pL\pN_]*$'))
   or (n <= 3 and n_lines >= 10 and not regexp_matches(line, '[.!?…:;"”»]')) as bad from l2),
 l as (select row_id, sum(case when bad then n else 0 end) as lost, sum(again::int) as dup from l3 group by row_id)
 select doc_id, len(words)::bigint as n_words, coalesce(list_sum(list_transform(words, lambda v: length(v))), 0)::bigint as word_chars, len(regexp_extract_all(text, '[#*$%&|<>]'))::bigint as n_symbols,
   coalesce(dup, 0)::bigint as n_dup_lines, coalesce(n_repeat, 0)::bigint as n_repeat_words, len(words) < 50 or 100 * coalesce(n_repeat, 0) > 50 * len(words) as base_failed,
   not (len(words) < 50 or 100 * coalesce(n_repeat, 0) > 50 * len(words)) and coalesce(lost, 0) <= 0.3::double * len(words) as kept
 from t left join c using (row_id) left join l using (row_id)
-"""
+""".replace("@notices@", "|".join(NOTICES)).replace("@closings@", CLOSINGS)
