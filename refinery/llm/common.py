@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
+import gc
 import re
-import tempfile
 import uuid
 
 import numpy as np
@@ -20,11 +20,14 @@ SHINGLE_WORDS, MIN_SIMILARITY = 5, 0.8
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; one of our own only where that is unset."""
+    """The folder in spark.checkpoint.dir, which all executors share. On a cluster without one this raises: a folder of one machine would lose what other
+    executors write. In local mode a folder beside the warehouse serves."""
     path = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not path:
-        path = tempfile.mkdtemp(prefix="refinery-shared-")
-        spark.conf.set("spark.checkpoint.dir", path)
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        path = f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}-shared"
     return path.rstrip("/")
 
 
@@ -35,6 +38,12 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Has the driver let go of finished queries, so that the executors delete their shuffle files now and not when it happens to collect its garbage."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def drop_stage(df: DataFrame) -> None:
     """Delete a stage table that no later step reads."""
     spark = df.sparkSession

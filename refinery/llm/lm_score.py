@@ -36,7 +36,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from refinery.llm.common import mix, stage
+from refinery.llm.common import drop_stage, mix, release, stage
 from refinery.llm.language import fold
 
 #: The base model's smoothing, and the held-out fold.
@@ -113,8 +113,12 @@ def gather_vocabulary(counts: DataFrame) -> Vocabulary:
     by_count = counts.groupBy("c").agg(F.count(F.lit(1)).alias("n"))
     upto = by_count.withColumn("upto", F.sum("n").over(Window.orderBy(F.col("c").desc()).rowsBetween(Window.unboundedPreceding, 0)))
     least = upto.where(F.col("upto") <= HEAD).agg(F.min("c")).first()[0]
+    tied = None if least is not None else by_count.agg(F.max("c")).first()[0]  # more words than HEAD at the top count: some of them, by hash
     total, types = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    head = {bytes(r.token): r.c for r in counts.where(F.col("c") >= least).collect()} if least is not None else {}
+    if least is not None:
+        head = {bytes(r.token): r.c for r in counts.where(F.col("c") >= least).collect()}
+    else:
+        head = {bytes(r.token): r.c for r in counts.where(F.col("c") == (tied or 0)).orderBy(F.xxhash64("token")).limit(HEAD).collect()}
     klass = F.pmod(F.crc32(F.substring("token", -3, 3)), F.lit(CLASSES))
     klass = F.when(F.length("token") < 3, F.pmod(F.crc32("token"), F.lit(CLASSES))).otherwise(klass)
     n, c = np.zeros(CLASSES), np.zeros(CLASSES)
@@ -364,7 +368,7 @@ def score(docs: DataFrame, voc: Vocabulary, weights: list[np.ndarray], counts: D
             lengths = np.diff(np.r_[starts, len(numbers)])
             lists = []
             for where, named in ((np.flatnonzero(~rare & ~here), False), (np.flatnonzero(rare), True)):
-                columns = [pa.array(keys[where]), pa.array(model[where])]
+                columns = [pa.array(keys[where]), pa.array(model[where].astype(np.float32))]
                 names = ["key", "lp"]
                 if named:
                     columns, names = [pa.array(tokens_at(texts, where, starts), pa.binary()), *columns], ["token", *names]
@@ -375,15 +379,16 @@ def score(docs: DataFrame, voc: Vocabulary, weights: list[np.ndarray], counts: D
             rid += len(texts)
             yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "rid", "n_tokens", "n_head", "base", "model", "asked", "rare"])
 
-    schema = "doc_id long, rid long, n_tokens long, n_head long, base double, model double, asked array<struct<key bigint, lp double>>, rare array<struct<token binary, key bigint, lp double>>"
+    schema = "doc_id long, rid long, n_tokens long, n_head long, base double, model double, asked array<struct<key bigint, lp float>>, rare array<struct<token binary, key bigint, lp float>>"
     # written once: the rows' numbers hold for this table, whatever is recomputed later
     rows = stage(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, schema), "scored")
+    release(docs.sparkSession)
     c = F.coalesce("c", F.lit(0))
     rare = rows.select("rid", F.inline("rare").alias("token", "key", "lp")).join(counts, "token", "left").withColumn("log_c", F.log10(c + ADD)).withColumn("log_before", F.when(F.length("token") > 0, F.log10(c + PRIOR)).otherwise(0.0))
     # a pair that was never seen has no row in the table of pairs
     asked = rows.select("rid", F.inline("asked").alias("key", "lp"), F.lit(0.0).alias("log_c"), F.lit(0.0).alias("log_before"), F.lit(0).alias("known"))
-    asked = asked.unionByName(rare.select("rid", "key", (F.col("lp") + F.col("log_c")).alias("lp"), "log_c", "log_before", F.when(F.col("c").isNotNull(), 1).otherwise(0).alias("known")))
-    met = asked.join(pairs, "key", "left").withColumn("log_pair", F.log10(F.coalesce("n", F.lit(0)) + PRIOR * F.pow(F.lit(10.0), F.col("lp"))) - F.col("log_before"))
+    asked = asked.unionByName(rare.select("rid", "key", (F.col("lp") + F.col("log_c")).cast("float").alias("lp"), "log_c", "log_before", F.when(F.col("c").isNotNull(), 1).otherwise(0).alias("known")))
+    met = asked.join(pairs, "key", "left").withColumn("log_pair", F.log10(F.coalesce("n", F.lit(0)) + PRIOR * F.pow(F.lit(10.0), F.col("lp").cast("double"))) - F.col("log_before"))
     sums = met.groupBy("rid").agg(F.sum("log_c").alias("log_rare"), F.sum("known").alias("n_rare"), F.sum("log_pair").alias("log_pair"))
     out = rows.drop("asked", "rare").join(sums, "rid", "left")
     log_rare, log_pair = F.coalesce("log_rare", F.lit(0.0)), F.coalesce("log_pair", F.lit(0.0))
@@ -395,8 +400,13 @@ def lm_scores(docs: DataFrame) -> DataFrame:
     held = F.coalesce(fold(F.col("doc_id"), FOLDS) == HELD, F.lit(False))
     training = docs.where(~held).select("text")
     counts = stage(count_tokens(training), "counts")
+    release(docs.sparkSession)
     voc = gather_vocabulary(counts)
     cells, pairs = count_histories(training, voc)
-    weights = train(stage(cells, "histories"))
+    histories_ = stage(cells, "histories")
+    release(docs.sparkSession)
+    weights = train(histories_)
+    drop_stage(histories_)
+    release(docs.sparkSession)
     rows = score(docs, voc, weights, counts, pairs)
     return rows.select("doc_id", held.alias("held_out"), "n_tokens", "n_known", F.lit(voc.total).cast("long").alias("train_tokens"), "base_score", "score")

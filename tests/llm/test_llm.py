@@ -101,6 +101,8 @@ def test_join_with_large_buckets_and_many_blocks(spark, monkeypatch, depth):
     """One star of near copies, past the brute-force limit, dealt to blocks and split; and a passage that unlike texts share."""
     monkeypatch.setattr(jaccard_join, "LIMIT", 20)
     monkeypatch.setattr(jaccard_join, "BLOCK", 16)
+    monkeypatch.setattr(jaccard_join, "CROWD", 12)
+    monkeypatch.setattr(jaccard_join, "PART", 8)
     monkeypatch.setattr(jaccard_join, "DEPTH", depth)
     rng = random.Random(3)
     base = [f"w{k}" for k in range(120)]
