@@ -1,4 +1,4 @@
-"""python -m refinery.cli run settings.yaml [--dry-run] [--output-dir DIR] [--async] [--verbose] [--reset-index]"""
+"""python -m refinery.cli run settings.yaml [--dry-run] [--output-dir DIR] [--sync] [--verbose] [--reset-index]"""
 
 from __future__ import annotations
 
@@ -13,13 +13,13 @@ def main(args: list[str] | None = None) -> int:
     run.add_argument("settings")
     run.add_argument("--dry-run", action="store_true")
     run.add_argument("--output-dir")
-    run.add_argument("--async", dest="async_mode", action="store_true")
+    run.add_argument("--sync", action="store_true", help="one model call at a time in each task")
     run.add_argument("--verbose", action="store_true")
     run.add_argument("--reset-index", action="store_true")
     given = p.parse_args(args)
     cfg = load(given.settings)
     changes = {"output_dir": given.output_dir} if given.output_dir else {}
-    cfg = cfg.patch(changes | {"async_mode": given.async_mode or cfg.async_mode, "verbose": given.verbose or cfg.verbose, "reset_index": given.reset_index or cfg.reset_index})
+    cfg = cfg.patch(changes | {"async_mode": cfg.async_mode and not given.sync, "verbose": given.verbose or cfg.verbose, "reset_index": given.reset_index or cfg.reset_index})
     from refinery.plans import run as plans
 
     if given.dry_run:

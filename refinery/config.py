@@ -63,7 +63,7 @@ class CurationConfig:
     embedding_dedup: bool = False
     embedding_threshold: float = 0.92
     index_dir: str | None = None
-    index_kind: str = "exact"
+    index_kind: str = "auto"
     reset_index: bool = False
     # sampling
     resample: bool = False
@@ -104,6 +104,7 @@ class CurationConfig:
     judge_model: str = "offline-overlap"
     judge_temperature: float = 0.1
     judge_concurrency: int = 8
+    probe_model: str | None = None
     api_base: str | None = None
     api_key: str | None = None
     extra_body: dict = field(default_factory=dict)
@@ -112,7 +113,7 @@ class CurationConfig:
     strip_think: bool = True
     call_budget: int | None = None
     ledger_dir: str | None = None
-    async_mode: bool = False
+    async_mode: bool = True
     # generation
     task: str | None = None
     num_questions: int = 3
@@ -167,7 +168,7 @@ class CurationConfig:
     def validate(self) -> None:
         one_of = {
             "dedup": ("none", "exact", "minhash"), "dedup_policy": ("greedy", "component"), "tokenizer": ("whitespace", "bpe"), "chunk_strategy": ("heading", "fixed", "paragraph"),
-            "pdf_output_mode": ("chunk", "qa", "preference", "rollout", "multiturn"), "index_kind": ("exact", "lsh"), "resample_basis": ("input", "feasible"), "untargeted": ("keep", "reject"),
+            "pdf_output_mode": ("chunk", "qa", "preference", "rollout", "multiturn"), "index_kind": ("auto", "exact", "lsh"), "resample_basis": ("input", "feasible"), "untargeted": ("keep", "reject"),
             "secrets_mode": ("reject", "redact"), "pii_mode": ("pseudonym", "mask"), "preference_mode": ("single_call", "two_pass"), "dialogue_mode": ("turn_by_turn", "single_call"),
             "difficulty": ("easy", "medium", "hard"), "cot_mode": ("generate", "wrap"), "evidence": ("exact", "retrieved"), "recovery": ("none", "adaptive", "retry"), "toxicity_scorer": ("unbiased", "original", "multilingual"),
         }
@@ -183,7 +184,20 @@ class CurationConfig:
             raise ValueError("toxicity_pass exceeds toxicity_reject")
         if self.tokenizer == "bpe" and not self.vocabulary_path:
             raise ValueError("the bpe tokenizer needs vocabulary_path")
-        for name, known in (("gates", GATES), ("clean_transforms", CLEAN_TRANSFORMS), ("export_formats", EXPORTS), ("pii_entities", CLINICAL_PII), ("reward_dimensions", REWARD_DIMENSIONS)):
+        from refinery.operators.gates import CUSTOM_GATES, ENCODERS
+        from refinery.operators.generation import EVOLUTIONS, INJECTIONS
+        from refinery.operators.tasks import TASKS, templates_of
+
+        if self.task not in (None, *TASKS):
+            raise ValueError(f"task must be one of {TASKS}, not {self.task!r}")
+        if self.encoder not in ENCODERS:
+            raise ValueError(f"encoder must be one of {sorted(ENCODERS)}, not {self.encoder!r}")
+        if not 0 <= self.chunk_overlap_tokens < self.chunk_max_tokens:
+            raise ValueError("chunk_overlap_tokens must be below chunk_max_tokens")
+        if self.recovery == "adaptive" and len(self.probe_temperatures) + 3 > self.probe_max_calls:
+            raise ValueError("probe_max_calls must allow for every temperature and three prompts")
+        templates_of(self)
+        for name, known in (("gates", (*GATES, *CUSTOM_GATES)), ("evolve_strategies", EVOLUTIONS), ("inject_types", INJECTIONS), ("probe_on", ("grounding", "reward")), ("clean_transforms", CLEAN_TRANSFORMS), ("export_formats", EXPORTS), ("pii_entities", CLINICAL_PII), ("reward_dimensions", REWARD_DIMENSIONS)):
             if odd := set(getattr(self, name)) - set(known):
                 raise ValueError(f"unknown {name}: {sorted(odd)}")
         for name in ("target_distribution", "output_split"):

@@ -38,10 +38,12 @@ def exact_survivors(keys: DataFrame) -> DataFrame:
 
 def dedup_exact(df: DataFrame, text: Column | None = None) -> DataFrame:
     """Keeps the record with the least id of each normal form; marks the others with the survivor's id."""
-    df = df.withColumn("_key", exact_key(dedup_text() if text is None else text))
-    best = materialize(exact_survivors(undecided(df).select("id", F.col("_key").alias("key"))).where("n > 1"), "exact")
-    df = df.join(best.select(F.col("key").alias("_key"), F.col("survivor").alias("_best")), "_key", "left")
-    return reject(df, F.col("_best").isNotNull() & (F.col("id") != F.col("_best")), "exact_duplicate", "dedup_exact", F.col("_best")).drop("_key", "_best")
+    keys = undecided(df).select("id", exact_key(dedup_text() if text is None else text).alias("key"))
+    best = materialize(exact_survivors(keys).where("n > 1"), "exact")
+    # ids and keys alone meet, so a text that many share moves no texts; the join has plain exchanges on both sides, which a hot key can be split over
+    gone = keys.join(best.hint("merge"), "key").where(F.col("id") != F.col("survivor")).select(F.col("id").alias("_id"), F.col("survivor").alias("_best"))
+    df = df.join(materialize(gone, "copies"), F.col("id") == F.col("_id"), "left")
+    return reject(df, F.col("_best").isNotNull(), "exact_duplicate", "dedup_exact", F.col("_best")).drop("_id", "_best")
 
 
 def band_curve(s: float, bands: int, rows: int) -> float:
@@ -183,26 +185,40 @@ def dedup_minhash(df: DataFrame, n: int = 3, threshold: float = 0.85, num_perm:
     return reject(df, F.col("_by").isNotNull(), "near_duplicate", "dedup_minhash", F.col("_by")).drop("_by")
 
 
-def vector_pairs(new: DataFrame, old: DataFrame | None, threshold: float, index: str = "exact", tables: int = 12, bits: int = 8, dim: int = 64, block: int = 512) -> DataFrame:
+#: Vectors up to which `auto` compares all blocks; beyond, each vector would be copied more than a few times.
+EXACT_VECTORS = 4_096
+
+
+def vector_pairs(new: DataFrame, old: DataFrame | None, threshold: float, index: str = "auto", tables: int = 12, bits: int = 8, dim: int = 64, block: int = 512) -> DataFrame:
     """Pairs a, b (ids; a < b within `new`, a from `old` otherwise) with cosine above the threshold; id, embedding columns.
 
     exact: blocks of vectors meet in pairs, each compared in one task by a matrix product. lsh: signs of random projections bucket the vectors, and
-    only bucket mates are compared."""
+    only bucket mates are compared, in `tables` tables whose width makes a pair at the threshold meet with 0.95 at least (`sign_bits`). auto: exact up to
+    EXACT_VECTORS vectors, the index beyond."""
     side = new.select("id", "embedding", F.lit(1).alias("side"))
     if old is not None:
         side = side.unionByName(old.select("id", "embedding", F.lit(0).alias("side")))
     kind = new.schema["id"].dataType.simpleString()
+    if index == "auto":
+        index = "exact" if side.count() <= EXACT_VECTORS else "lsh"
+        bits = sign_bits(threshold, tables) if index == "lsh" else bits
     if index == "exact":
         n_blocks = max(1, math.ceil(side.count() / block))
         dealt = side.withColumn("own", F.pmod(F.xxhash64("id"), F.lit(n_blocks)).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))))
         dealt = dealt.select(F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "embedding", "side")
         keys = ["i", "j"]
     else:
-        planes = np.random.default_rng(7).standard_normal((tables * bits, dim))
-        signs = [F.when(tx.dot(F.col("embedding"), F.array(*[F.lit(float(x)) for x in p])) >= 0, F.lit("1")).otherwise(F.lit("0")) for p in planes]
-        codes = F.array(*[F.concat(*signs[t * bits : (t + 1) * bits]) for t in range(tables)])
-        sides = side.select("id", "embedding", "side", F.posexplode(codes).alias("table", "code"))
-        held = materialize(sides, "codes")
+        planes = np.random.default_rng(7).standard_normal((tables * bits, dim)).astype(np.float32)
+        weights = 1 << np.arange(bits, dtype=np.int64)
+
+        def signed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                m = np.array(b.column("embedding").to_pylist(), dtype=np.float32).reshape(b.num_rows, -1)
+                codes = ((m @ planes[:, : m.shape[1]].T >= 0).reshape(b.num_rows, tables, bits) * weights).sum(axis=2)
+                at = pa.array(np.repeat(np.arange(b.num_rows), tables))
+                yield pa.RecordBatch.from_arrays([*(b.column(c).take(at) for c in ("id", "embedding", "side")), pa.array(np.tile(np.arange(tables, dtype=np.int32), b.num_rows)), pa.array(codes.ravel().astype(np.int64))], names=["id", "embedding", "side", "table", "code"])
+
+        held = materialize(side.mapInArrow(signed, f"id {kind}, embedding array<float>, side int, table int, code long"), "codes")
         sizes = held.groupBy("table", "code").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("blocks"))
         dealt = held.join(sizes, ["table", "code"]).withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
         dealt = dealt.select("table", "code", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "id", "embedding", "side")
@@ -224,6 +240,12 @@ def vector_pairs(new: DataFrame, old: DataFrame | None, threshold: float, index:
     return dealt.groupBy(*keys).applyInPandas(compare, f"a {kind}, b {kind}, old boolean, cosine double").dropDuplicates(["a", "b", "old"])
 
 
+def sign_bits(threshold: float, tables: int, recall: float = 0.95) -> int:
+    """The most signs a table, so the fewest candidates, with which a pair at the cosine threshold shares a table with a probability of `recall`."""
+    agree = 1 - math.acos(min(1.0, max(-1.0, threshold))) / math.pi
+    return next((b for b in range(24, 0, -1) if 1 - (1 - agree**b) ** tables >= recall), 1)
+
+
 class IndexStore:
     """Accepted vectors of earlier runs: Parquet partitioned by run, committed by overwriting a run's own partition."""
 
@@ -246,7 +268,7 @@ class IndexStore:
         p.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(p, True)
 
 
-def dedup_embedding(df: DataFrame, threshold: float = 0.92, store: IndexStore | None = None, run_id: str | None = None, index: str = "exact", reset: bool = False) -> DataFrame:
+def dedup_embedding(df: DataFrame, threshold: float = 0.92, store: IndexStore | None = None, run_id: str | None = None, index: str = "auto", reset: bool = False) -> DataFrame:
     """df: records with an embedding column. Marks rows similar to an earlier run's, then to a kept row of this run (id order).
     The accepted vectors are appended to the store under run_id."""
     if store and reset:

@@ -27,26 +27,34 @@ def answer_text() -> Column:
     return F.when(kind == "preference", F.col("chosen")).when(kind == "grpo", best).otherwise(F.col("output"))
 
 
+ASPECTS = ("accuracy", "grounding", "consistency", "own_words")
+
+
 def claim_scores(answer: Column, source: Column, n: int = 3) -> Column:
-    """array of struct(claim, support) over the answer's sentences. Support: the share of a claim's word n-grams that the source holds, times 0.3 where
-    the claim denies something in a source that denies nothing, or names a number that the source lacks."""
+    """array of struct(claim, accuracy, grounding, consistency, own_words, support) over the answer's sentences: its numbers are the source's; the share of
+    its word n-grams that the source holds; it denies nothing where the source denies nothing; the share of its words that the source has (what is
+    missing came from elsewhere). support is the least of the four."""
     numbers = lambda c: F.regexp_extract_all(c, F.lit(r"\d+"), F.lit(0))
 
     def one(claim: Column, e: Column) -> Column:
-        words = tx.words(F.lower(claim))
-        few = F.size(F.array_intersect(words, e["words"])) / F.greatest(F.size(F.array_distinct(words)), F.lit(1))
+        words = F.array_distinct(tx.words(F.lower(claim)))
+        known = F.size(F.array_intersect(words, e["words"])) / F.greatest(F.size(words), F.lit(1))
         many = tx.let(tx.word_ngrams(claim, n), lambda g: F.size(F.array_intersect(g, e["grams"])) / F.size(g))
-        contrary = (claim.rlike(DENIAL) & ~e["denies"]) | (F.size(F.array_except(numbers(claim), e["numbers"])) > 0)
-        return F.struct(claim.alias("claim"), (F.when(F.size(words) < n, few).otherwise(many) * F.when(contrary, 0.3).otherwise(1.0)).alias("support"))
+        parts = F.struct(
+            F.when(F.size(F.array_except(numbers(claim), e["numbers"])) > 0, 0.3).otherwise(1.0).alias("accuracy"), F.when(F.size(words) < n, known).otherwise(many).alias("grounding"),
+            F.when(claim.rlike(DENIAL) & ~e["denies"], 0.3).otherwise(1.0).alias("consistency"), known.alias("own_words"),
+        )
+        return tx.let(parts, lambda p: F.struct(claim.alias("claim"), *[p[a].alias(a) for a in ASPECTS], F.least(*[p[a] for a in ASPECTS]).alias("support")))
 
     evidence = F.struct(tx.words(F.lower(source)).alias("words"), tx.word_ngrams(source, n).alias("grams"), source.rlike(DENIAL).alias("denies"), numbers(source).alias("numbers"))
     return tx.let(evidence, lambda e: F.transform(tx.sentences(answer), lambda c: one(c, e)))
 
 
 def grounding_verdict(answer: Column, source: Column) -> Column:
-    """struct(score, supported, unsupported): the mean support of the claims; 0 without claims or source."""
+    """struct(score, supported, unsupported, and the mean of each aspect); 0 without claims or source."""
     pick = lambda claims, good: F.transform(F.filter(claims, lambda c: (c["support"] >= SUPPORTED) == F.lit(good)), lambda c: c["claim"])
-    return tx.let(claim_scores(answer, F.coalesce(source, F.lit(""))), lambda claims: F.struct(_mean_support(claims).alias("score"), pick(claims, True).alias("supported"), pick(claims, False).alias("unsupported")))
+    mean = lambda claims, a: F.when(F.size(claims) > 0, F.aggregate(claims, F.lit(0.0), lambda t, c: t + c[a]) / F.size(claims)).otherwise(0.0)
+    return tx.let(claim_scores(answer, F.coalesce(source, F.lit(""))), lambda claims: F.struct(_mean_support(claims).alias("score"), pick(claims, True).alias("supported"), pick(claims, False).alias("unsupported"), *[mean(claims, a).alias(a) for a in ASPECTS]))
 
 
 def _mean_support(claims: Column) -> Column:
@@ -68,32 +76,44 @@ def grounding_gate(df: DataFrame, threshold: float = 0.7, judge: Callable[[Colum
     return reject(df, F.col("grounding_score") < threshold, "grounding_below", "grounding_gate", F.format_string("%.2f", F.col("grounding_score")))
 
 
-def retrieve_evidence(df: DataFrame, chunks: DataFrame, n: int = 3) -> DataFrame:
-    """The baseline: adds retrieved, the chunk (of chunks: chunk) that shares most word n-grams with the answer."""
+def retrieve_evidence(df: DataFrame, chunks: DataFrame, n: int = 3, common: int = 1000) -> DataFrame:
+    """The baseline: adds retrieved, the chunk (of chunks: chunk) that shares most word n-grams with the answer. Of grams in more than `common` chunks an
+    answer is told by its others; one that has no others is matched by its own, in `common` chunks drawn by hash at most, so no gram makes a square."""
     ask = df.select("id", F.explode(tx.word_ngrams(answer_text(), n)).alias("g"))
-    have = chunks.select("chunk", F.xxhash64("chunk").alias("c")).dropDuplicates(["c"])
+    have = materialize(chunks.select("chunk", F.xxhash64("chunk").alias("c")).dropDuplicates(["c"]), "chunks")
     grams = have.select("c", F.explode(tx.word_ngrams(F.col("chunk"), n)).alias("g"))
-    hits = ask.join(grams, "g").groupBy("id", "c").agg(F.count(F.lit(1)).alias("n"))
-    best = hits.groupBy("id").agg(F.max_by("c", F.struct("n", "c")).alias("c"))
+    held = materialize(grams.groupBy("g").agg(F.count(F.lit(1)).alias("held")), "held")
+    few = held.where(F.col("held") <= common).select("g")
+    hits = ask.join(grams.join(few, "g", "left_semi"), "g").groupBy("id", "c").agg(F.count(F.lit(1)).alias("n"))
+    best = materialize(hits.groupBy("id").agg(F.max_by("c", F.struct("n", "c")).alias("c")), "best")
+    many = held.where(F.col("held") > common).select("g", "held")
+    drawn = grams.join(many, "g").where(F.pmod(F.xxhash64("c", "g"), F.ceil(F.col("held") / common).cast("long")) == 0).groupBy("g").agg(F.max("c").alias("c"))
+    rest = ask.join(best.select("id"), "id", "left_anti").join(drawn, "g").groupBy("id").agg(F.max("c").alias("c"))
+    best = best.unionByName(rest)
     return df.join(best.join(have, "c").select("id", F.col("chunk").alias("retrieved")), "id", "left")
 
 
 def dimension_scores(instruction: Column, answer: Column) -> Column:
-    """Map of the seven dimensions to scores in [0, 1], from the texts alone (truthfulness stays neutral: its proxy would be the other gate's)."""
-    w, ask = tx.words(F.lower(answer)), F.filter(tx.words(F.lower(instruction)), lambda x: F.length(x) > 4)
-    n = F.size(w)
-    plain = lambda a: F.transform(a, lambda x: F.regexp_replace(x, r"[.,;:!?]", ""))
-    covered = F.when(F.size(ask) > 0, F.size(F.array_intersect(plain(ask), plain(w))) / F.size(F.array_distinct(plain(ask)))).otherwise(0.0)
-    long = F.least(n / F.lit(12.0), F.lit(1.0))
-    distinct = F.when(n > 0, F.size(F.array_distinct(w)) / n).otherwise(0.0)
-    ends = F.when(F.trim(answer).rlike(r"[.!?]$"), 1.0).otherwise(0.4)
-    starts = F.when(answer.rlike(r"^\p{Lu}"), 1.0).otherwise(0.4)
-    hedge = F.when(answer.rlike(r"(?i)\b(experts|broadly|everyone knows|it is not true)\b"), 0.3).otherwise(1.0)
-    clear = F.when(instruction.rlike(r"(?i)^(tell me something|unclear)"), 0.1).otherwise(1.0)
-    values = {
-        "helpfulness": F.least(long, clear), "honesty": hedge, "instruction_following": F.least(F.lit(1.0), covered * 2) * clear, "truthfulness": F.lit(0.8), "depth": long, "creativity": distinct, "coherence": (ends + starts) / 2,
-    }
-    return F.create_map(*[x for k in REWARD_DIMENSIONS for x in (F.lit(k), values[k].cast("double"))])
+    """Map of the seven dimensions to scores in [0, 1], from the texts alone: length, how much of what the question names the answer takes up, repeats, and
+    whether it begins and ends as sentences do (truthfulness stays neutral: its proxy would be the other gate's)."""
+    bare = lambda t: F.transform(tx.words(F.lower(t)), lambda x: F.regexp_replace(x, r"[.,;:!?]", ""))
+    named = F.array_distinct(F.filter(bare(instruction), lambda x: F.length(x) > 4))
+
+    def scored(w: Column, ask: Column) -> Column:
+        n = F.size(w)
+        relevant = F.least(F.lit(1.0), F.when(F.size(ask) > 0, 2 * F.size(F.array_intersect(ask, w)) / F.size(ask)).otherwise(0.0))
+        long = F.least(n / F.lit(12.0), F.lit(1.0))
+        ends, starts = F.when(F.trim(answer).rlike(r"[.!?]$"), 1.0).otherwise(0.4), F.when(answer.rlike(r"^\p{Lu}"), 1.0).otherwise(0.4)
+        values = {"helpfulness": F.least(long, relevant), "honesty": ends, "instruction_following": relevant, "truthfulness": F.lit(0.8), "depth": long, "creativity": F.when(n > 0, F.size(F.array_distinct(w)) / n).otherwise(0.0), "coherence": (ends + starts) / 2}
+        return F.create_map(*[x for k in REWARD_DIMENSIONS for x in (F.lit(k), values[k].cast("double"))])
+
+    return tx.let(bare(answer), lambda w: tx.let(named, lambda ask: scored(w, ask)))
+
+
+def judge_notes(scores: Column) -> Column:
+    """struct(strengths, weaknesses): the dimensions from 0.8 on, and those below 0.6 with their scores, in words."""
+    named = lambda good: F.array_join(F.transform(F.filter(F.map_entries(scores), lambda e: (e["value"] >= 0.8) if good else (e["value"] < 0.6)), lambda e: F.concat(e["key"], F.lit(" "), F.format_string("%.2f", e["value"]))), ", ")
+    return F.struct(named(True).alias("strengths"), named(False).alias("weaknesses"))
 
 
 def reward_score(scores: Column, dimensions: tuple = REWARD_DIMENSIONS) -> Column:
@@ -105,17 +125,13 @@ def weakest(scores: Column, dimensions: tuple = REWARD_DIMENSIONS) -> Column:
     return F.array_min(F.array(*[F.struct(F.element_at(scores, F.lit(d)).alias("score"), F.lit(k).alias("k"), F.lit(d).alias("dimension")) for k, d in enumerate(dimensions)]))["dimension"]
 
 
-def rubric_score(answer_json: Column) -> Column:
-    """The overall score of a custom judge's JSON; null where it has none (a parse rejection)."""
-    return F.get_json_object(answer_json, "$.overall").try_cast("double")
-
-
 def reward_gate(df: DataFrame, threshold: float = 0.7, dimensions: tuple = REWARD_DIMENSIONS, scorer: Callable[[Column, Column], Column] = dimension_scores) -> DataFrame:
     """Rejects answers whose mean over the dimensions is below the threshold. A pair needs chosen at or above it and rejected below it; a rejected side
     that is too good is a contrast failure, which no repair follows."""
     df = df.withColumn("reward_dimensions", scorer(F.col("instruction"), answer_text()))
     df = df.withColumn("reward_score", reward_score(F.col("reward_dimensions"), dimensions)).withColumn("weakest_dimension", weakest(F.col("reward_dimensions"), dimensions))
     df = reject(df, F.col("reward_score") < threshold, "reward_below", "reward_gate", F.format_string("%.2f", F.col("reward_score")))
+    df = df.withColumn("judge_notes", judge_notes(F.col("reward_dimensions")))
     other = reward_score(scorer(F.col("instruction"), F.col("rejected")), dimensions)
     return reject(df, (F.col("task_type") == "preference") & (other >= threshold), "rejected_above_threshold", "reward_gate", F.format_string("%.2f", other))
 
@@ -125,8 +141,8 @@ def embed_text() -> Column:
     return F.when(kind == "preference", F.col("chosen")).when(kind == "grpo", F.col("instruction")).when(kind == "language_modeling", F.col("output")).otherwise(F.concat_ws("\n", "instruction", "output"))
 
 
-def hashed_encoder(dim: int = 256):
-    """The offline stand-in for a sentence encoder: hashed character 3-grams, log counts, length one."""
+def hashed_encoder(dim: int = 256, n: int = 3):
+    """The offline stand-in for a sentence encoder: hashed character n-grams, log counts, length one."""
 
     @F.pandas_udf("array<float>")
     def encode(texts: pd.Series) -> pd.Series:
@@ -135,8 +151,8 @@ def hashed_encoder(dim: int = 256):
         def one(t):
             v = np.zeros(dim, np.float64)
             t = f" {(t or '').lower()} "
-            for k in range(len(t) - 2):
-                v[zlib.crc32(t[k : k + 3].encode()) % dim] += 1
+            for k in range(len(t) - n + 1):
+                v[zlib.crc32(t[k : k + n].encode("utf-8", "surrogatepass")) % dim] += 1
             v = np.log1p(v)
             return (v / max(np.linalg.norm(v), 1e-12)).astype(np.float32)
 
@@ -145,7 +161,23 @@ def hashed_encoder(dim: int = 256):
     return encode
 
 
-def diversity_gate(df: DataFrame, threshold: float = 0.92, index: str = "exact", encoder=None) -> DataFrame:
+#: Encoders by name; a user's own takes a column of texts to one of float arrays.
+ENCODERS: dict[str, Callable] = {"hashed-3gram": hashed_encoder, "hashed-4gram": lambda: hashed_encoder(n=4)}
+
+
+def register_encoder(name: str, make: Callable) -> None:
+    ENCODERS[name] = make
+
+
+#: Gates by name, beside the three: (records, configuration, context) to marked records.
+CUSTOM_GATES: dict[str, Callable] = {}
+
+
+def register_gate(name: str, gate: Callable) -> None:
+    CUSTOM_GATES[name] = gate
+
+
+def diversity_gate(df: DataFrame, threshold: float = 0.92, index: str = "auto", encoder=None) -> DataFrame:
     """Rejects a record whose cosine with an accepted earlier one (id order) exceeds the threshold: the same set as inserting one by one."""
     live = undecided(df)
     vectors = live.select("id", "embedding") if "embedding" in df.columns else live.select("id", (encoder or hashed_encoder())(embed_text()).alias("embedding"))

@@ -40,15 +40,30 @@ class PromptTemplate:
 
 
 TEMPLATES = {
-    "qa": PromptTemplate("Write {n} questions of {difficulty} difficulty with answers from this passage:\n{source}", ("n", "difficulty", "source")),
+    "qa": PromptTemplate("Write {n} questions of {difficulty} difficulty with answers from this passage, as a JSON array of objects with question and answer.\n{source}", ("n", "difficulty", "source")),
+    "qa_table": PromptTemplate("Write {n} questions of {difficulty} difficulty that the rows of this table answer, as a JSON array of objects with question and answer.\n{source}", ("n", "difficulty", "source")),
+    "preference": PromptTemplate("Write a question on the passage, a good answer and a poor one, as JSON with question, chosen, rejected.\n{source}", ("source",)),
+    "grpo": PromptTemplate("Answer from the passage.\nPassage: {source}\nQuestion: {question}", ("source", "question")),
+    "multiturn": PromptTemplate("Write a dialogue of {n} turns each about the passage, as a JSON array of objects with role and content.\n{source}", ("n", "source")),
+    "evol": PromptTemplate("Rewrite the instruction ({strategy}); keep to the passage.\nPassage: {source}\nInstruction: {question}", ("strategy", "source", "question")),
+    "cot": PromptTemplate("Reason step by step from the passage to the answer.\nPassage: {source}\nQuestion: {question}", ("source", "question")),
     "answer": PromptTemplate("Answer from the passage.\nPassage: {source}\nQuestion: {question}", ("source", "question")),
     "strict": PromptTemplate("Use only statements that the passage makes.\nPassage: {source}\nQuestion: {question}", ("source", "question")),
     "domain": PromptTemplate("Keep to the passage's subject and terms.\nPassage: {source}\nQuestion: {question}", ("source", "question")),
-    "requestion": PromptTemplate("Write a question that this passage answers:\n{source}", ("source",)),
-    "refine": PromptTemplate("Rewrite the answer. Weakest: {dimension}. Note: {note}\nAnswer: {answer}", ("dimension", "note", "answer")),
+    "requestion": PromptTemplate("Write a question that this passage answers:\n{source}\nIt replaces: {question}", ("source", "question")),
+    "refine": PromptTemplate("Rewrite the answer. Weakest: {dimension}. Note: {note}\nPassage: {source}\nAnswer: {answer}", ("dimension", "note", "source", "answer")),
+    "ground": PromptTemplate("Judge the answer by the passage: JSON with score (0 to 1), supported and unsupported.\nPassage: {source}\nAnswer: {answer}", ("source", "answer")),
+    "reward": PromptTemplate("Score the answer in {dimensions}: JSON with scores, overall, strengths and weaknesses.\nQuestion: {question}\nAnswer: {answer}", ("dimensions", "question", "answer")),
 }
 
 
+def templates(overrides: dict[str, str] | None = None) -> dict[str, PromptTemplate]:
+    """The templates with a user's own in place; an unknown name, or a text without a placeholder that its template needs, raises."""
+    if odd := sorted(set(overrides or {}) - set(TEMPLATES)):
+        raise ValueError(f"no templates {odd}; there are {sorted(TEMPLATES)}")
+    return TEMPLATES | {name: PromptTemplate(text, TEMPLATES[name].required) for name, text in (overrides or {}).items()}
+
+
 # ---- chunks -------------------------------------------------------------------------------------------------------------------
 
 
@@ -79,6 +94,39 @@ def chunk_headings(df: DataFrame) -> DataFrame:
     return rows.withColumn("n_tokens", tx.token_count(F.col("chunk")))
 
 
+def chunk_sections(df: DataFrame) -> DataFrame:
+    """df: id, text. One chunk a heading line (# marks before it) and what follows it; what stands before the first heading is one too."""
+    parts = F.filter(F.split("text", r"\n(?=#{1,6} )"), lambda p: F.trim(p) != "")
+    rows = df.select("id", F.posexplode(parts).alias("chunk_no", "chunk"))
+    return rows.select("id", "chunk_no", F.regexp_extract("chunk", r"^#{1,6} +([^\n]*)", 1).alias("heading"), F.trim("chunk").alias("chunk"), tx.token_count(F.col("chunk")).alias("n_tokens"), F.col("chunk").rlike(r"(?m)^\|.*\|").alias("is_table"))
+
+
+def capped(chunks: DataFrame, max_tokens: int, overlap: int) -> DataFrame:
+    """Chunks over the cap are cut again, with the overlap; the others, and tables, stay. Numbers follow the order."""
+    long = (F.col("n_tokens") > max_tokens) & ~F.col("is_table")
+    pieces = chunk_fixed(chunks.where(long).select(F.struct("id", "chunk_no", "heading").alias("id"), F.col("chunk").alias("text")), max_tokens, overlap)
+    cut = pieces.select("id.id", F.col("id.chunk_no").alias("major"), F.col("chunk_no").alias("minor"), "id.heading", "chunk", "n_tokens", F.lit(False).alias("is_table"))
+    whole = chunks.where(~long).select("id", F.col("chunk_no").alias("major"), F.lit(0).alias("minor"), "heading", "chunk", "n_tokens", "is_table")
+    both = cut.unionByName(whole)
+    return both.withColumn("chunk_no", F.row_number().over(Window.partitionBy("id").orderBy("major", "minor")) - 1).select("id", "chunk_no", "heading", "chunk", "n_tokens", "is_table")
+
+
+def chunk(df: DataFrame, strategy: str = "heading", max_tokens: int = 512, overlap: int = 50, tables: bool = False) -> DataFrame:
+    """df: id, text (or html). id, chunk_no, heading, chunk, n_tokens, is_table by a strategy; all but paragraphs keep to the cap. With
+    `tables`, each table is a chunk of its own as well."""
+    html = "html" in df.columns
+    if strategy == "heading":
+        rows = capped(chunk_headings(df) if html else chunk_sections(df), max_tokens, overlap)
+    else:
+        texts = df.select("id", tx.collapse_space(tx.strip_html(F.col("html"))).alias("text")) if html else df
+        rows = chunk_fixed(texts, max_tokens, overlap) if strategy == "fixed" else chunk_paragraph(texts)
+        rows = rows.select("id", "chunk_no", F.lit(None).cast("string").alias("heading"), "chunk", "n_tokens", F.lit(False).alias("is_table"))
+    if tables:
+        found = extract_tables(df).select("id", (F.col("table_no") + 1_000_000).alias("chunk_no"), F.lit(None).cast("string").alias("heading"), F.col("table").alias("chunk"), tx.token_count(F.col("table")).alias("n_tokens"), F.lit(True).alias("is_table"))
+        rows = rows.unionByName(found)
+    return rows
+
+
 def extract_tables(df: DataFrame) -> DataFrame:
     """id, table_no, table: html tables, or runs of lines with two cells or more between pipes (df: id, text or html)."""
     source = "html" if "html" in df.columns else "text"
@@ -107,8 +155,15 @@ class Profile:
 
 
 PROFILES = {"small": Profile(0.06, 0.22, 0.16, 0.08, 0.14), "medium": Profile(0.04, 0.16, 0.12, 0.06, 0.11), "large": Profile(0.03, 0.12, 0.09, 0.05, 0.09)}
-#: A sentence of no source: what a drifting generator adds.
-OUTSIDE = "Experts broadly agree that this has been known since 1887."
+#: How far each prompt eases the lasting faults and the drift of the simulated generator: (drift, parametric, domain, question). That the strict prompt
+#: eases knowledge from outside, and so on, is put in by hand; NEUTRAL is the control, in which no prompt eases anything.
+EASE = {"base": (1.0, 1.0, 1.0, 1.0), "strict": (0.5, 0.2, 1.0, 1.0), "domain": (0.7, 0.6, 0.2, 1.0), "requestion": (0.7, 0.6, 0.6, 0.2)}
+NEUTRAL = dict.fromkeys(EASE, (1.0, 1.0, 1.0, 1.0))
+
+
+def eased(share: float) -> dict[str, tuple]:
+    """EASE in part: 0 is NEUTRAL, 1 is EASE."""
+    return {p: tuple(1 + share * (f - 1) for f in factors) for p, factors in EASE.items()}
 
 
 def qa_pairs(chunks: DataFrame, n: int = 3, difficulty: str = "medium", multi_passage: bool = False) -> DataFrame:
@@ -122,55 +177,63 @@ def qa_pairs(chunks: DataFrame, n: int = 3, difficulty: str = "medium", multi_pa
     at = F.floor(F.col("k") * F.size("s") / F.least(F.lit(n), F.size("s"))).cast("int")
     answer = F.array_join(F.slice("s", at + 1, F.lit(take)), " ")
     lead = F.array_join(F.slice(tx.words(F.element_at("s", at + 1)), 1, 4), " ")
-    question = F.concat(F.lit("What does the passage say about "), F.regexp_replace(lead, r"[.,;:!?]", ""), F.lit("?"))
+    about = F.regexp_replace(lead, r"[.,;:!?]", "")
+    question = F.concat(F.lit("What does the passage say about "), about, F.lit("?"))
+    if "is_table" in chunks.columns:
+        question = F.when(F.col("is_table"), F.concat(F.lit("Which row of the table holds "), about, F.lit("?"))).otherwise(question)
     return rows.select(F.md5(F.concat_ws("|", F.col("id").cast("string"), F.col("chunk_no").cast("string"), F.col("k").cast("string"))).alias("qa_id"), "id", "chunk_no", "k", question.alias("instruction"), answer.alias("output"), F.col("chunk").alias("input"))
 
 
-def negate(text: Column) -> Column:
-    """A contradiction of a text: a denial put before it, and its digits moved on."""
-    return F.concat(F.lit("It is not true that "), F.translate(text, "0123456789", "1234567890"))
+#: Answers of other documents that damages draw from; a bounded table (MOST rows of at most LONG characters), so it may be broadcast.
+MOST, LONG = 1024, 2_000
 
 
 def other_source(qa: DataFrame) -> DataFrame:
-    """Adds alien: an answer of another document, by a shift within hash groups (no window over all rows)."""
-    group = tx.hash_int(1024, F.lit("alien"), F.col("qa_id"))
-    w = Window.partitionBy("_g").orderBy("qa_id")
-    rows = qa.withColumn("_g", group)
-    nxt = F.lead("output").over(w)
-    return rows.withColumn("alien", F.coalesce(nxt, F.first("output").over(w))).drop("_g")
+    """Adds alien and alien_ask: the answer and question of a pair of another part of the table, from MOST pairs drawn by hash."""
+    drawn = qa.where(F.length("output") <= LONG).groupBy(tx.hash_int(MOST, F.lit("alien"), F.col("qa_id")).alias("_g")).agg(F.min(F.struct(F.md5(F.concat(F.lit("draw"), "qa_id")).alias("h"), F.col("qa_id").alias("_from"), F.col("output").alias("alien"), F.col("instruction").alias("alien_ask"))).alias("r"))
+    order = Window.orderBy("_g")  # MOST rows
+    drawn = drawn.select((F.row_number().over(order) - 1).alias("_k"), "r.*", F.coalesce(F.lead("r").over(order), F.first("r").over(Window.orderBy("_g").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))).alias("_next"))
+    drawn = materialize(drawn, "aliens")
+    n = max(1, drawn.count())
+    rows = qa.withColumn("_k", tx.hash_int(n, F.lit("pick"), F.col("qa_id"))).join(F.broadcast(drawn.drop("h")), "_k", "left")
+    own = F.col("_from") == F.col("qa_id")
+    return rows.withColumns({"alien": F.coalesce(F.when(own, F.col("_next.alien")).otherwise(F.col("alien")), F.lit("")), "alien_ask": F.coalesce(F.when(own, F.col("_next.alien_ask")).otherwise(F.col("alien_ask")), F.lit(""))}).drop("_k", "_from", "_next")
 
 
 def damaged(kind: Column, qa: dict[str, Column]) -> tuple[Column, Column]:
-    """(instruction, output) of a pair after a damage of a kind."""
-    out, ask = qa["output"], qa["instruction"]
+    """(instruction, output) of a pair after a damage of a kind. All that is put in comes from the tables (numbers moved on, words, answers and
+    questions of other documents, order turned round), so there is no phrase that a judge could look for."""
+    out, ask, alien = qa["output"], qa["instruction"], qa["alien"]
+    w, x = tx.words(out), tx.words(alien)
+    part = lambda share: F.floor(F.size(w) * share).cast("int")
+    swapped = F.concat(F.slice(w, 1, part(0.3)), F.slice(x, 1, F.greatest(F.size(w) - 2 * part(0.3), F.lit(1))), F.slice(w, F.size(w) - part(0.3) + 1, part(0.3)))
     new = (
-        F.when(kind == "contradicts_source", negate(out))
-        .when(kind == "parametric_drift", F.lit(OUTSIDE))
-        .when(kind == "domain_mismatch", qa["alien"])
-        .when(kind == "high_temperature_drift", F.array_join(F.reverse(tx.words(out)), " "))
-        .when(kind == "instruction_quality", F.lit("Unclear."))
-        .otherwise(out)
+        F.when(kind == "contradicts_source", F.translate(F.array_join(swapped, " "), "0123456789", "1234567890"))
+        .when(kind == "parametric_drift", F.array_join(F.concat(F.slice(w, 1, F.greatest(part(0.4), F.lit(1))), x), " "))
+        .when(kind == "domain_mismatch", alien)
+        .when(kind == "high_temperature_drift", F.array_join(F.reverse(w), " "))
+        .otherwise(out)  # a faulty question keeps its answer
     )
-    return F.when(kind == "instruction_quality", F.lit("Tell me something?")).otherwise(ask), new
+    return F.when(kind == "instruction_quality", qa["alien_ask"]).otherwise(ask), new
 
 
 def inject(qa: DataFrame, rate: float = 0.2, types: tuple = INJECTIONS[:4], seed: str = "inject") -> tuple[DataFrame, DataFrame]:
     """Damages a hash-chosen share of the pairs. Returns the pairs, without any trace of it, and the truth (qa_id, injected_type)."""
     rows = other_source(qa)
     kind = F.when(tx.hash_unit(F.lit(seed), F.col("qa_id")) < rate, F.element_at(F.array(*map(F.lit, types)), tx.hash_int(len(types), F.lit(seed + "-type"), F.col("qa_id")) + 1))
-    ask, out = damaged(kind, {c: F.col(c) for c in ("instruction", "output", "alien")})
-    return rows.withColumns({"instruction": ask, "output": out}).drop("alien"), qa.select("qa_id", kind.alias("injected_type"))
+    ask, out = damaged(kind, {c: F.col(c) for c in ("instruction", "output", "alien", "alien_ask")})
+    return rows.withColumns({"instruction": ask, "output": out}).drop("alien", "alien_ask"), qa.select("qa_id", kind.alias("injected_type"))
 
 
-def simulate(qa: DataFrame, profile: Profile, prompt: str = "base", temperature: Column | float = 0.7, attempt: Column | int = 0, seed: str = "sim") -> DataFrame:
-    """A generator's answers: qa has qa_id, instruction, reference (the right answer), input, and alien. Adds answer and asked.
+def simulate(qa: DataFrame, profile: Profile, prompt: str = "base", temperature: Column | float = 0.7, attempt: Column | int = 0, seed: str = "sim", easing: dict[str, tuple] = EASE) -> DataFrame:
+    """A generator's answers: qa has qa_id, instruction, reference (the right answer), input, alien and alien_ask. Adds answer and asked.
 
-    Draws are hashes of (seed, id, prompt, temperature, attempt): every arm of an experiment sees the same generator. A strict prompt halves drift and
-    removes most outside knowledge; a domain prompt removes most subject faults; a new question redraws the question's fault."""
+    Draws are hashes of (seed, id, prompt, temperature, attempt): every arm of an experiment sees the same generator. `easing` says by how much a
+    prompt lowers the chance of each fault; with EASE the prompts help by construction, with NEUTRAL none does."""
     t = F.lit(temperature) if not isinstance(temperature, Column) else temperature
     a = F.lit(attempt) if not isinstance(attempt, Column) else attempt
     draw = lambda what: tx.hash_unit(F.lit(seed), F.col("qa_id"), F.lit(prompt), F.lit(what), t, a)
-    ease = {"base": (1, 1, 1, 1), "strict": (0.5, 0.2, 1, 1), "domain": (0.7, 0.6, 0.2, 1), "requestion": (0.7, 0.6, 0.6, 0.2)}[prompt]
+    ease = easing[prompt]
     # a fault that belongs to the pair stays with it across attempts at the same prompt
     lasting = lambda what: tx.hash_unit(F.lit(seed), F.col("qa_id"), F.lit(what))
     drift = draw("drift") < F.lit(ease[0]) * (F.lit(profile.drift) + F.lit(profile.slope) * t)
@@ -178,7 +241,7 @@ def simulate(qa: DataFrame, profile: Profile, prompt: str = "base", temperature:
     domain = lasting("domain") < ease[2] * profile.domain
     question = lasting("question") < ease[3] * profile.question
     kind = F.when(question, "instruction_quality").when(domain, "domain_mismatch").when(outside, "parametric_drift").when(drift, F.when(draw("way") < 0.5, "contradicts_source").otherwise("high_temperature_drift")).otherwise("none")
-    ask, out = damaged(kind, {"instruction": F.col("instruction"), "output": F.col("reference"), "alien": F.col("alien")})
+    ask, out = damaged(kind, {"instruction": F.col("instruction"), "output": F.col("reference"), "alien": F.col("alien"), "alien_ask": F.col("alien_ask")})
     return qa.withColumns({"asked": ask, "answer": out, "fault": kind})
 
 
@@ -189,13 +252,13 @@ def preference_pairs(qa: DataFrame, mode: str = "two_pass", rejected_temperature
     if mode == "single_call":
         weak = F.array_join(F.slice(tx.words(F.col("output")), 1, F.greatest(F.floor(tx.token_count(F.col("output")) * 0.6), F.lit(1)).cast("int")), " ")
         return rows.select("qa_id", "instruction", "input", F.col("output").alias("chosen"), weak.alias("rejected"), F.lit(1).alias("calls"))
-    hot = F.when(tx.hash_unit(F.lit("hot"), F.col("qa_id")) < min(1.0, rejected_temperature / 2), F.col("alien")).otherwise(negate(F.col("output")))
+    hot = F.when(tx.hash_unit(F.lit("hot"), F.col("qa_id")) < min(1.0, rejected_temperature / 2), F.col("alien")).otherwise(damaged(F.lit("parametric_drift"), {c: F.col(c) for c in ("instruction", "output", "alien", "alien_ask")})[1])
     return rows.select("qa_id", "instruction", "input", F.col("output").alias("chosen"), hot.alias("rejected"), F.lit(2).alias("calls"))
 
 
-def rollouts(qa: DataFrame, k: int = 4, temperatures: tuple = (), spread: float = 0.6, scorer: Callable[[Column, Column, Column], Column] | None = None) -> DataFrame:
-    """qa_id, responses, reward_scores, temperatures, calls: k answers at given temperatures, or spread evenly around 0.7."""
-    temps = tuple(temperatures) or tuple(round(0.7 - spread / 2 + spread * j / max(k - 1, 1), 4) for j in range(k))
+def rollouts(qa: DataFrame, k: int = 4, temperatures: tuple = (), spread: float = 0.6, scorer: Callable[[Column, Column, Column], Column] | None = None, base: float = 0.7) -> DataFrame:
+    """qa_id, responses, reward_scores, temperatures, calls: k answers at given temperatures, or spread evenly around the base."""
+    temps = tuple(temperatures) or tuple(round(base - spread / 2 + spread * j / max(k - 1, 1), 4) for j in range(k))
     rows = other_source(qa).withColumn("reference", F.col("output"))
     out, answers = rows, []
     for j, t in enumerate(temps):
@@ -206,15 +269,19 @@ def rollouts(qa: DataFrame, k: int = 4, temperatures: tuple = (), spread: float
 
 
 def dialogues(qa: DataFrame, num_turns: int = 3, mode: str = "turn_by_turn") -> DataFrame:
-    """qa_id, turns (role, content), calls: turn by turn, each question and answer is a call that sees all before it (2 * num_turns calls); single_call
-    writes all at once."""
+    """qa_id, turns (role, content), calls. turn by turn: each question and answer is a call that sees all before it (2 * num_turns calls), so the next
+    question takes up the last answer, and the next answer depends on it; single_call writes all at once, sentence after sentence."""
     s = tx.sentences(F.col("input"))
-    ask = lambda x: F.concat(F.lit("And what about "), F.array_join(F.slice(tx.words(x), 1, 3), " "), F.lit("?"))
-    seen = lambda j: F.element_at(s, (F.pmod(F.lit(j), F.greatest(F.size(s), F.lit(1))) + 1).cast("int"))
-    turns = []
+    first = lambda x: F.regexp_replace(F.array_join(F.slice(tx.words(x), 1, 3), " "), r"[.,;:!?]", "")
+    at = lambda k: F.element_at(s, (F.pmod(k, F.greatest(F.size(s), F.lit(1))) + 1).cast("int"))
+    rows, turns = qa.where(F.size(s) > 0).withColumn("_a0", F.col("output")), []
     for j in range(num_turns):
-        turns += [F.struct(F.lit("user").alias("role"), (F.col("instruction") if j == 0 else ask(seen(j))).alias("content")), F.struct(F.lit("assistant").alias("role"), (F.col("output") if j == 0 else seen(j)).alias("content"))]
-    return qa.where(F.size(s) > 0).select("qa_id", F.array(*turns).alias("turns"), F.lit(2 * num_turns if mode == "turn_by_turn" else 1).alias("calls"))
+        if j:
+            told = at(tx.hash_int(1 << 20, F.col(f"_a{j - 1}"), F.lit(j))) if mode == "turn_by_turn" else at(F.lit(j))
+            rows = rows.withColumn(f"_a{j}", told)
+        ask = F.col("instruction") if not j else F.concat(F.lit("And after "), first(F.col(f"_a{j - 1}")), F.lit(", what of "), first(F.col(f"_a{j}")), F.lit("?")) if mode == "turn_by_turn" else F.concat(F.lit("And what about "), first(F.col(f"_a{j}")), F.lit("?"))
+        turns += [F.struct(F.lit("user").alias("role"), ask.alias("content")), F.struct(F.lit("assistant").alias("role"), F.col(f"_a{j}").alias("content"))]
+    return rows.select("qa_id", F.array(*turns).alias("turns"), F.lit(2 * num_turns if mode == "turn_by_turn" else 1).alias("calls"))
 
 
 EVOLUTIONS = {"constraints": " Answer in at most two sentences.", "deepen": " Explain why as well.", "concretise": " Give one example from the passage.", "reasoning": " Show each step of your reasoning.", "broaden": " Name a related matter in the passage."}
@@ -287,9 +354,9 @@ def call_id(model: str, prompt: Column, temperature: Column, attempt: Column) ->
     return F.sha2(F.concat_ws("\x1f", F.lit(model), prompt, temperature.cast("string"), attempt.cast("string")), 256)
 
 
-def run_calls(calls: DataFrame, backend: Backend, ledger_dir: str, concurrency: int = 8, partitions: int | None = None) -> DataFrame:
+def run_calls(calls: DataFrame, backend: Backend, ledger_dir: str, concurrency: int = 8, partitions: int | None = None, budget: int | None = None) -> DataFrame:
     """calls: call_id, prompt, temperature. Calls that the ledger has are not made again; new ones run `concurrency` at a time in each task, and are written
-    to the ledger before anything reads them. Returns the ledger's rows of these calls."""
+    to the ledger before anything reads them. Returns the ledger's rows of these calls. More new calls than `budget` raise before the first is made."""
     spark = calls.sparkSession
     p = spark._jvm.org.apache.hadoop.fs.Path(ledger_dir)
     there = p.getFileSystem(spark._jsc.hadoopConfiguration()).exists(p)
@@ -319,6 +386,8 @@ def run_calls(calls: DataFrame, backend: Backend, ledger_dir: str, concurrency:
             yield pa.RecordBatch.from_arrays([pa.array([d[n] for d in done], t) for n, t in zip(names, kinds)], names=names)
 
     todo = materialize(todo, "calls")  # fixed before the first call is made
+    if budget is not None and (n := todo.count()) > budget:
+        raise ValueError(f"{n} calls are needed and {budget} are allowed (call_budget)")
     todo.repartition(partitions or spark.sparkContext.defaultParallelism, "call_id").mapInArrow(run, LEDGER).write.mode("append").parquet(ledger_dir)
     rows = spark.read.schema(LEDGER).parquet(ledger_dir)
     return rows.join(wanted.select("call_id"), "call_id", "left_semi").groupBy("call_id").agg(F.min_by(F.struct(*[F.col(c.split()[0]) for c in LEDGER.split(", ")[1:]]), F.col("error").isNotNull()).alias("r")).select("call_id", "r.*")
@@ -332,16 +401,17 @@ class GenerationTask:
     parse: Callable[[Column], Column]
 
 
-def run_task(df: DataFrame, task: GenerationTask, backend: Backend, ledger_dir: str, temperature: float = 0.7, parse_retries: int = 1, concurrency: int = 8) -> DataFrame:
-    """Adds generated and raw_response to every row; generated is null where all attempts couldn't be read."""
+def run_task(df: DataFrame, task: GenerationTask, backend: Backend, ledger_dir: str, temperature: float = 0.7, parse_retries: int = 1, concurrency: int = 8, budget: int | None = None) -> DataFrame:
+    """Adds generated, raw_response and call (the answer's model, tokens and latency) to every row; generated is null where all attempts couldn't be
+    read: `rejected_answers` makes records of those."""
     rows = df.withColumn("_prompt", task.build())
     done = None
     left = rows
     for attempt in range(parse_retries + 1):
         calls = left.withColumn("call_id", call_id(backend.model, F.col("_prompt"), F.lit(temperature), F.lit(attempt))).withColumn("temperature", F.lit(temperature))
-        answers = run_calls(calls.select("call_id", F.col("_prompt").alias("prompt"), "temperature"), backend, ledger_dir, concurrency)
-        got = materialize(calls.join(answers.select("call_id", F.col("text").alias("raw_response")), "call_id", "left").drop("call_id", "temperature").withColumn("generated", task.parse(F.col("raw_response"))), "answers")
+        answers = run_calls(calls.select("call_id", F.col("_prompt").alias("prompt"), "temperature"), backend, ledger_dir, concurrency, budget=budget)
+        got = materialize(calls.join(answers.select("call_id", F.col("text").alias("raw_response"), F.create_map(F.lit("model"), "model", F.lit("prompt_tokens"), F.col("prompt_tokens").cast("string"), F.lit("completion_tokens"), F.col("completion_tokens").cast("string"), F.lit("latency"), F.round("latency", 3).cast("string")).alias("call")), "call_id", "left").drop("call_id", "temperature").withColumn("generated", task.parse(F.col("raw_response"))), "answers")
         good = got.where("generated is not null") if attempt < parse_retries else got
         done = good if done is None else done.unionByName(good)
-        left = got.where("generated is null").drop("raw_response", "generated")
+        left = got.where("generated is null").drop("raw_response", "generated", "call")
     return done.drop("_prompt")

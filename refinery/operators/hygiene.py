@@ -117,7 +117,7 @@ def _fake(kind: str, k: Column) -> Column:
         "ip_address": F.concat(F.lit("10."), (F.floor(k / 65536) % 256).cast("string"), F.lit("."), (F.floor(k / 256) % 256).cast("string"), F.lit("."), (k % 256).cast("string")),
         "us_bank": F.concat(F.lit("account 9"), F.lpad(k.cast("string"), 11, "0")),
         "iban": F.concat(F.lit("XX00TEST"), F.lpad(k.cast("string"), 12, "0")),
-        "person": F.concat(F.lit("Mx. "), F.element_at(names, (k % 16 + 1).cast("int")), F.lit(" "), F.element_at(names, (F.floor(k / 16) % 16 + 1).cast("int"))),
+        "person": F.concat(F.lit("Mx. "), F.element_at(names, (k % 16 + 1).cast("int")), F.lit(" "), F.element_at(names, (F.floor(k / 16) % 16 + 1).cast("int")), F.translate(F.floor(k / 256).cast("string"), "0123456789", "abcdefghij")),
         "date_time": F.date_add(F.lit("1950-01-01").cast("date"), (k % 20000).cast("int")).cast("string"),
         "location": F.concat((k % 900 + 100).cast("string"), F.lit(" Example Street")),
         "medical_licence": F.concat(F.lit("ZZ"), F.lpad((k % 10000000).cast("string"), 7, "0")),
@@ -188,10 +188,10 @@ def toxicity_scores(df: DataFrame, lexicon: DataFrame, variant: str = "unbiased"
     return out.withColumn("toxicity", score).drop("_id", "_hits")
 
 
-def toxicity_gate(df: DataFrame, lexicon: DataFrame, pass_below: float = 0.1, reject_above: float = 0.5, variant: str = "unbiased", judge: Callable[[DataFrame], DataFrame] | None = None, judge_reject: float = 0.5) -> DataFrame:
+def toxicity_gate(df: DataFrame, lexicon: DataFrame, pass_below: float = 0.1, reject_above: float = 0.5, variant: str = "unbiased", judge: Callable[[DataFrame], DataFrame] | None = None, judge_reject: float = 0.5, fields: tuple | None = None) -> DataFrame:
     """Below pass_below: accepted. Above reject_above: rejected. Between: a judge (DataFrame to DataFrame with judge_score) sees only that band,
     in a branch of its own; without a judge the band is accepted."""
-    live = materialize(toxicity_scores(df, lexicon, variant), "toxicity")
+    live = materialize(toxicity_scores(df, lexicon, variant, scan_text(fields) if fields else None), "toxicity")
     live = reject(live, F.col("toxicity") > reject_above, "toxic_classifier", "toxicity_gate", F.format_string("%.2f", F.col("toxicity")))
     if judge is None:
         return live

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from refinery.functions import text as tx
@@ -27,6 +27,26 @@ st as (select *, list_filter(list_transform(string_split(regexp_replace(chunk, '
 qk as (select doc_id, chunk_no, s, k, floor(k * len(s) / least(3, len(s))::double)::int as spot from st, lateral (select unnest(range(0, least(3, len(s)))) as k)),
 qa as (select md5(doc_id || '|' || chunk_no || '|' || k) as qa_id, doc_id, chunk_no, k,
   'What does the passage say about ' || regexp_replace(array_to_string(list_filter(string_split_regex(s[spot + 1], '\\s+'), lambda w: w <> '')[1:4], ' '), '[.,;:!?]', '', 'g') || '?' as instruction, s[spot + 1] as output from qk)"""
+HASH = lambda *parts: "('0x' || md5(" + " || '|' || ".join(parts) + ")[1:8])::bigint"
+WORDS = lambda c: f"list_filter(string_split_regex({c}, '\\s+'), lambda w: w <> '')"
+SENTS = lambda c: f"list_filter(list_transform(string_split(regexp_replace({c}, '([.!?])\\s+', '\\1' || chr(10), 'g'), chr(10)), lambda x: trim(x)), lambda x: x <> '')"
+#: qa with input, and al: with the answer and question of another document.
+ALIENS = f"""{SENTENCES.replace("as instruction, s[spot + 1] as output from qk", "as instruction, s[spot + 1] as output, chunk as input from qk").replace("select doc_id, chunk_no, s, k, floor", "select doc_id, chunk_no, chunk, s, k, floor")},
+gr as (select {HASH("'alien'", "qa_id")} % 1024 as g, arg_min(qa_id, md5('draw' || qa_id)) as f, arg_min(output, md5('draw' || qa_id)) as o, arg_min(instruction, md5('draw' || qa_id)) as i from qa where length(output) <= 2000 group by 1),
+nx as (select row_number() over (order by g) - 1 as k, f, o, i, coalesce(lead(o) over (order by g), first_value(o) over (order by g)) as no, coalesce(lead(i) over (order by g), first_value(i) over (order by g)) as ni from gr),
+al as (select qa.*, case when f = qa_id then no else o end as alien, case when f = qa_id then ni else i end as alien_ask from qa join nx on nx.k = {HASH("'pick'", "qa_id")} % (select count(*) from nx))"""
+
+
+def damage_sql(kind: str, out: str, ask: str) -> tuple[str, str]:
+    """generation.damaged in SQL: the question and the answer after a damage."""
+    n = f"len({WORDS(out)})"
+    third, part = f"floor({n} * 0.3::double)::int", f"greatest(floor({n} * 0.4::double)::int, 1)"
+    swapped = f"translate(array_to_string({WORDS(out)}[1:{third}] || {WORDS('alien')}[1:greatest({n} - 2 * {third}, 1)] || {WORDS(out)}[{n} - {third} + 1:], ' '), '0123456789', '1234567890')"
+    answer = f"""case {kind} when 'contradicts_source' then {swapped} when 'parametric_drift' then array_to_string({WORDS(out)}[1:{part}] || {WORDS('alien')}, ' ') when 'domain_mismatch' then alien
+      when 'high_temperature_drift' then array_to_string(list_reverse({WORDS(out)}), ' ') else {out} end"""
+    return f"case when {kind} = 'instruction_quality' then alien_ask else {ask} end", answer
+
+
 UNIT = lambda seed: f"('0x' || md5('{seed}|' || qa_id)[1:8])::bigint"
 INJECT = f"""case when {UNIT("inject")} / 4294967296.0::double < 0.2::double then (['contradicts_source', 'parametric_drift', 'domain_mismatch', 'instruction_quality'])[{UNIT("inject-type")} % 4 + 1] end"""
 
@@ -36,7 +56,8 @@ def gen_qa_extractive(spark: SparkSession, sf_dir: str) -> DataFrame:
     return qa(spark, sf_dir).withColumnRenamed("id", "doc_id").drop("input")
 
 
-@query()
+@query(f"""with {SENTENCES.replace("as chunk from d,", "as one from d,").replace("st as (select *,", "c2 as (select doc_id, chunk_no, one || coalesce(chr(10) || lead(one) over (partition by doc_id order by chunk_no), '') as chunk from ch), st as (select *,").replace("from ch),", "from c2),", 2).replace("from c2), st as", "from ch), st as", 1)}
+select qa_id, doc_id as id, chunk_no::int as chunk_no, k::int as k, instruction, output from qa""")
 def gen_qa_multi_passage(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Questions over two adjacent chunks."""
     chunks = generation.chunk_fixed(read(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"), CHUNK, 0)
@@ -55,15 +76,43 @@ def gen_inject(spark: SparkSession, sf_dir: str) -> DataFrame:
     return truth.groupBy(F.coalesce("injected_type", F.lit("clean")).alias("injected_type")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(f"with {SENTENCES}, c as (select unnest([1, 2]) as calls) select case calls when 1 then 'single_call' else 'two_pass' end as mode, (select count(*) from qa)::bigint as pairs, (calls * (select count(*) from qa))::bigint as calls from c")
+@query(f"with {ALIENS}, t as (select *, {INJECT} as kind from al) select qa_id, kind as injected_type, {damage_sql('kind', 'output', 'instruction')[0]} as instruction, {damage_sql('kind', 'output', 'instruction')[1]} as output from t")
+def gen_inject_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each pair after the damage that its hash draws, beside the truth."""
+    rows, truth = generation.inject(qa(spark, sf_dir))
+    return rows.join(truth, "qa_id").select("qa_id", "injected_type", "instruction", "output")
+
+
+@query(f"""with {ALIENS} select qa_id, 'single_call' as mode, output as chosen, array_to_string({WORDS("output")}[1:greatest(floor(len({WORDS("output")}) * 0.6::double)::int, 1)], ' ') as rejected, 1::int as calls from al
+union all select qa_id, 'two_pass', output, case when {HASH("'hot'", "qa_id")} / 4294967296.0::double < 0.6::double then alien else {damage_sql("'parametric_drift'", "output", "instruction")[1]} end, 2 from al""")
 def gen_preference(spark: SparkSession, sf_dir: str) -> DataFrame:
-    pairs, out = qa(spark, sf_dir), None
+    """Chosen and rejected sides of both modes."""
+    pairs, out = materialize(qa(spark, sf_dir), "qa"), None
     for mode in ("single_call", "two_pass"):
-        row = generation.preference_pairs(pairs, mode).agg(F.lit(mode).alias("mode"), F.count(F.lit(1)).alias("pairs"), F.sum("calls").alias("calls"))
+        row = generation.preference_pairs(pairs, mode).select("qa_id", F.lit(mode).alias("mode"), "chosen", "rejected", "calls")
         out = row if out is None else out.unionByName(row)
     return out
 
 
+def _drawn(what: str, temperature: str, attempt: int) -> str:
+    return f"{HASH(chr(39) + 'sim' + chr(39), 'qa_id', chr(39) + 'base|' + what + '|' + temperature + '|' + str(attempt) + chr(39))} / 4294967296.0::double"
+
+
+def simulated_sql(profile: str, temperature: str, attempt: int) -> str:
+    """The simulated generator's fault at the base prompt, over al."""
+    p = generation.PROFILES[profile]
+    lasting = lambda what: f"{HASH(chr(39) + 'sim' + chr(39), 'qa_id', chr(39) + what + chr(39))} / 4294967296.0::double"
+    return f"""case when {lasting('question')} < {p.question}::double then 'instruction_quality' when {lasting('domain')} < {p.domain}::double then 'domain_mismatch' when {lasting('parametric')} < {p.parametric}::double then 'parametric_drift'
+      when {_drawn('drift', temperature, attempt)} < {p.drift}::double + {p.slope}::double * {temperature}::double then case when {_drawn('way', temperature, attempt)} < 0.5 then 'contradicts_source' else 'high_temperature_drift' end else 'none' end"""
+
+
+@query(f"with {ALIENS}, f as (select *, {simulated_sql('small', '0.7', 0)} as fault from al) select qa_id, fault, {damage_sql('fault', 'output', 'instruction')[0]} as asked, {damage_sql('fault', 'output', 'instruction')[1]} as answer from f")
+def gen_simulated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The simulated generator's answers at temperature 0.7, with the fault that it drew."""
+    pairs = generation.other_source(qa(spark, sf_dir)).withColumn("reference", F.col("output"))
+    return generation.simulate(pairs, generation.PROFILES["small"]).select("qa_id", "fault", "asked", "answer")
+
+
 @query()
 def gen_preference_contrast(spark: SparkSession, sf_dir: str) -> DataFrame:
     """How far the two sides lie apart by mode: the mean ROUGE-L between them (two passes give more contrast)."""
@@ -74,16 +123,27 @@ def gen_preference_contrast(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-@query(f"with {SENTENCES} select qa_id, 4::int as n, 4::int as calls from qa")
+@query("with " + ALIENS + ", " + ", ".join(f"f{j} as (select *, {simulated_sql('small', t, j)} as k{j} from {'al' if not j else f'f{j - 1}'})" for j, t in enumerate(("0.4", "0.6", "0.8", "1.0"))) + " select qa_id, " + " || chr(10) || ".join(f"({damage_sql(f'k{j}', 'output', 'instruction')[1]})" for j in range(4)) + " as responses, 4::int as calls from f3")
 def gen_rollouts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return generation.rollouts(qa(spark, sf_dir), 4).select("qa_id", F.size("responses").alias("n"), "calls")
+    """Four answers a question, at temperatures spread evenly around 0.7, joined by line ends."""
+    return generation.rollouts(qa(spark, sf_dir), 4).select("qa_id", F.array_join("responses", "\n").alias("responses"), "calls")
+
+
+def _turns_sql(mode: str) -> str:
+    first = lambda x: f"regexp_replace(array_to_string({WORDS(x)}[1:3], ' '), '[.,;:!?]', '', 'g')"
+    at = lambda k: f"ss[({k}) % len(ss) + 1]"
+    told = [f"{at(HASH('a0', chr(39) + '1' + chr(39)) + ' % 1048576')}", f"{at(HASH('a1', chr(39) + '2' + chr(39)) + ' % 1048576')}"] if mode == "turn_by_turn" else [at("1"), at("2")]
+    ask = (lambda a, b: f"'And after ' || {first(a)} || ', what of ' || {first(b)} || '?'") if mode == "turn_by_turn" else (lambda a, b: f"'And what about ' || {first(b)} || '?'")
+    return f"""select qa_id, '{mode}' as mode, {6 if mode == 'turn_by_turn' else 1}::int as calls, 'user: ' || instruction || chr(10) || 'assistant: ' || a0 || chr(10) || 'user: ' || {ask('a0', 'a1')} || chr(10) || 'assistant: ' || a1 || chr(10) || 'user: ' || {ask('a1', 'a2')} || chr(10) || 'assistant: ' || a2 as said
+      from (select *, {told[1]} as a2 from (select *, {told[0]} as a1 from (select *, output as a0, {SENTS('input')} as ss from al)))"""
 
 
-@query(f"with {SENTENCES} select mode, calls::int as calls, 6::int as turns, (select count(*) from qa)::bigint as n from (values ('turn_by_turn', 6), ('single_call', 1)) as m(mode, calls)")
+@query(f"with {ALIENS} {_turns_sql('turn_by_turn')} union all {_turns_sql('single_call')}")
 def gen_dialogues(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Three turns each way; turn by turn, questions and answers hang on what was said before."""
     pairs, out = qa(spark, sf_dir), None
     for mode in ("turn_by_turn", "single_call"):
-        row = generation.dialogues(pairs, 3, mode).groupBy("calls", F.size("turns").alias("turns")).agg(F.count(F.lit(1)).alias("n")).select(F.lit(mode).alias("mode"), "calls", "turns", "n")
+        row = generation.dialogues(pairs, 3, mode).select("qa_id", F.lit(mode).alias("mode"), "calls", F.array_join(F.transform("turns", lambda t: F.concat(t["role"], F.lit(": "), t["content"])), "\n").alias("said"))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -94,7 +154,7 @@ def gen_evolve(spark: SparkSession, sf_dir: str) -> DataFrame:
     return generation.evolve(qa(spark, sf_dir)).drop("output")
 
 
-@query()
+@query(f"""with {ALIENS}, m as (select unnest(['generate', 'wrap']) as mode) select qa_id, instruction, 'The passage says: ' || {SENTS("input")}[1] || chr(10) || 'So: ' || case mode when 'wrap' then output else {SENTS("output")}[1] end as output, 1::int as calls, mode from al, m""")
 def gen_chain_of_thought(spark: SparkSession, sf_dir: str) -> DataFrame:
     pairs = qa(spark, sf_dir)
     return generation.chain_of_thought(pairs, "generate").withColumn("mode", F.lit("generate")).unionByName(generation.chain_of_thought(pairs, "wrap").withColumn("mode", F.lit("wrap")))
@@ -177,21 +237,26 @@ def experiment(spark: SparkSession, sf_dir: str, profile: str) -> tuple[DataFram
     The generator answers each pair at temperature 0.7; damage is put on top of its answers, blind to them."""
     pairs = generation.other_source(qa(spark, sf_dir)).withColumn("reference", F.col("output"))
     made = generation.simulate(pairs, generation.PROFILES[profile])
-    made = made.select("qa_id", F.col("asked").alias("instruction"), F.col("answer").alias("output"), "input", "alien", "reference", F.col("instruction").alias("true_instruction"), "fault")
+    made = made.select("qa_id", F.col("asked").alias("instruction"), F.col("answer").alias("output"), "input", "alien", "alien_ask", "reference", F.col("instruction").alias("true_instruction"), "fault")
     kind = F.when(tx.hash_unit(F.lit("inject"), F.col("qa_id")) < 0.2, F.element_at(F.array(*map(F.lit, generation.INJECTIONS[:4])), tx.hash_int(4, F.lit("inject-type"), F.col("qa_id")) + 1))
-    ask, out = generation.damaged(kind, {c: F.col(c) for c in ("instruction", "output", "alien")})
+    ask, out = generation.damaged(kind, {c: F.col(c) for c in ("instruction", "output", "alien", "alien_ask")})
     rows = made.withColumns({"instruction": ask, "output": out, "injected_type": kind, "task_type": F.lit("instruction_following"), "profile": F.lit(profile)})
-    ground = F.when(F.col("instruction").rlike("(?i)^tell me something"), 0.0).otherwise(gates.grounding_score(F.col("output"), F.col("input")))
-    rows = rows.withColumns({"grounding_score": ground, "reward_score": gates.reward_score(gates.dimension_scores(F.col("instruction"), F.col("output")))})
+    rows = rows.withColumns({"grounding_score": gates.grounding_score(F.col("output"), F.col("input")), "reward_score": gates.reward_score(gates.dimension_scores(F.col("instruction"), F.col("output")))})
     rows = materialize(rows, f"experiment-{profile}")
     return rows, rows.select("qa_id", "injected_type")
 
 
-def probed(rows: DataFrame, profile: str, arm: str) -> DataFrame:
-    """Diagnosis (adaptive) or blind retry (naive) of the rows that the grounding gate failed."""
-    failed = rows.where("grounding_score < 0.7").select("qa_id", F.col("true_instruction").alias("instruction"), "reference", "input", "alien", "grounding_score")
-    answers = recovery.simulated(generation.PROFILES[profile])
-    out = recovery.diagnose(failed, answers) if arm == "adaptive" else recovery.retry(failed, answers)
+def failed_either() -> Column:
+    """A sample is rejected when either gate fails it."""
+    return (F.col("grounding_score") < 0.7) | (F.col("reward_score") < 0.7)
+
+
+def probed(rows: DataFrame, profile: str, arm: str, easing: dict = generation.EASE) -> DataFrame:
+    """Diagnosis (adaptive) or blind retry (naive) of all rejected rows; a repair passes both gates."""
+    failed = rows.where(failed_either()).select("qa_id", F.col("true_instruction").alias("instruction"), "reference", "input", "alien", "alien_ask", "grounding_score")
+    answers = recovery.simulated(generation.PROFILES[profile], easing)
+    passes = lambda asked, answer: gates.reward_score(gates.dimension_scores(asked, answer)) >= 0.7
+    out = recovery.diagnose(failed, answers, also=passes) if arm == "adaptive" else recovery.retry(failed, answers, also=passes)
     return materialize(out, arm)
 
 
@@ -254,9 +319,7 @@ def measure_yield(spark: SparkSession, sf_dir: str) -> DataFrame:
         rows, _ = experiment(spark, sf_dir, profile)
         fixed = probed(rows, profile, "adaptive").where("recovered").select("qa_id", "final_answer", "final_asked")
         joined = rows.join(fixed, "qa_id", "left")
-        again = gates.reward_score(gates.dimension_scores(F.col("final_asked"), F.col("final_answer"))) >= 0.7
-        hard = (F.col("grounding_score") >= 0.7) & (F.col("reward_score") >= 0.7)
-        row = joined.agg(F.lit(profile).alias("profile"), F.count(F.lit(1)).alias("n"), F.count_if(hard).alias("accepted_hard"), F.count_if(hard | (F.col("final_answer").isNotNull() & again)).alias("accepted_adaptive"))
+        row = joined.agg(F.lit(profile).alias("profile"), F.count(F.lit(1)).alias("n"), F.count_if(~failed_either()).alias("accepted_hard"), F.count_if(~failed_either() | F.col("final_answer").isNotNull()).alias("accepted_adaptive"))
         out = row if out is None else out.unionByName(row)
     return out.withColumn("gain", measures.yield_gain(F.col("accepted_hard"), F.col("accepted_adaptive")))
 
@@ -268,12 +331,57 @@ def measure_recall_gap(spark: SparkSession, sf_dir: str) -> DataFrame:
     parts = {}
     for arm in ("adaptive", "naive"):
         fixed = probed(rows, "small", arm).select("qa_id", "recovered")
-        verdicts = rows.select("qa_id", (F.col("grounding_score") < 0.7).alias("rejected")).join(fixed, "qa_id", "left").withColumn("recovered", F.coalesce("recovered", F.lit(False)))
+        verdicts = rows.select("qa_id", failed_either().alias("rejected")).join(fixed, "qa_id", "left").withColumn("recovered", F.coalesce("recovered", F.lit(False)))
         parts[arm] = measures.injection_recall(verdicts, truth).select(F.coalesce("injected_type", F.lit("overall")).alias("type"), "injected", "detect_recall", F.col("recover_recall").alias(arm))
     out = parts["adaptive"].join(parts["naive"].select("type", "naive"), "type")
     return out.withColumn("gap_points", 100 * (F.col("adaptive") - F.col("naive")))
 
 
+@query()
+def measure_easing_control(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How much of the gap is built into the simulator: adaptive against naive, by how far the prompts ease faults (0: none does, the control; 1: as in the
+    other experiments)."""
+    rows, truth = experiment(spark, sf_dir, "small")
+    n, out = truth.where("injected_type is not null").count(), None
+    hurt = truth.where("injected_type is not null").select("qa_id")
+    for share in (0.0, 0.5, 1.0):
+        parts = [F.lit(share).alias("easing"), F.lit(n).alias("injected")]
+        found = {arm: probed(rows, "small", arm, generation.eased(share)).join(hurt, "qa_id", "left_semi").agg(F.count_if("recovered").alias("r"), F.sum("calls").alias("c")).first() for arm in ("adaptive", "naive")}
+        row = spark.range(1).select(*parts, *[F.lit(100.0 * found[a].r / max(n, 1)).alias(a) for a in found], *[F.lit(found[a].c or 0).cast("long").alias(f"{a}_calls") for a in found])
+        out = row if out is None else out.unionByName(row)
+    return out.withColumn("gap_points", F.col("adaptive") - F.col("naive"))
+
+
+def scripted(rows: DataFrame, prompt: str, temperature: float, attempt: int) -> DataFrame:
+    """Answers that pass or fail by a hash of the pair, the prompt and the temperature: every path through the probe, known beforehand."""
+    good = tx.hash_unit(F.lit("script"), F.col("qa_id"), F.lit(f"{prompt}-{temperature}")) < 0.4
+    return rows.withColumns({"asked": F.col("instruction"), "answer": F.when(good, "1").otherwise("0"), "fault": F.lit("none")})
+
+
+def _script(prompt: str) -> str:
+    return f"{HASH(chr(39) + 'script' + chr(39), 'qa_id', chr(39) + prompt + chr(39))} / 4294967296.0::double < 0.4::double"
+
+
+@query(f"""with {SENTENCES}, p as (select qa_id, {HASH("'split'", "qa_id")} / 4294967296.0::double as score, {_script("base-0.3")} as a, {_script("base-0.5")} as b, {_script("strict-0.3")} as s, {_script("domain-0.3")} as d, {_script("requestion-0.3")} as q from qa),
+m as (select *, case when a and b then 'threshold_marginal' when a then 'generator_temperature' end as swept, case when d then 'domain_mismatch' when q then 'instruction_quality' when a or b then 'unknown' else 'source_ambiguous' end as late from p),
+r as (select qa_id, case when score >= 0.5 then coalesce(swept, case when s then 'generator_parametric' end, late) else coalesce(case when s then 'generator_parametric' end, swept, late) end as mode, score, s, swept, d, q from m)
+select qa_id, mode, (mode not in ('unknown', 'source_ambiguous')) as recovered, (case when score >= 0.5 then case when swept is not null then 2 when s then 3 when d then 4 else 5 end else case when s then 1 when swept is not null then 3 when d then 4 else 5 end end)::int as calls from r""")
+def recover_scripted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The probe over a scripted generator and judge: both routes, all seven ends of the probe, and the calls of each."""
+    rows = qa(spark, sf_dir).withColumn("grounding_score", tx.hash_unit(F.lit("split"), F.col("qa_id")))
+    out = recovery.diagnose(rows, scripted, judge=lambda answer, source: answer.cast("double"))
+    return out.select("qa_id", "mode", "recovered", "calls")
+
+
+@query(f"""with {SENTENCES}, t as (select qa_id, list_filter([{", ".join(f"case when {HASH(chr(39) + 'again' + chr(39), 'qa_id', chr(39) + str(k) + chr(39))} / 4294967296.0::double < 0.3::double then {k} end" for k in range(1, 6))}], lambda x: x is not null) as hits from qa)
+select qa_id, len(hits) > 0 as recovered, (case when len(hits) > 0 then hits[1] else 5 end)::int as calls from t""")
+def recover_scripted_retry(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Blind resampling over a scripted generator: calls up to the first answer that passes."""
+    again = lambda rows, prompt, temperature, attempt: rows.withColumns({"asked": F.col("instruction"), "answer": F.when(tx.hash_unit(F.lit("again"), F.col("qa_id"), F.lit(attempt)) < 0.3, "1").otherwise("0"), "fault": F.lit("none")})
+    out = recovery.retry(qa(spark, sf_dir).withColumn("grounding_score", F.lit(0.0)), again, judge=lambda answer, source: answer.cast("double"))
+    return out.select("qa_id", "recovered", "calls")
+
+
 @query()
 def measure_recovery_rate(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recovered over rejected, and calls per row, for both arms and all scales."""
@@ -330,15 +438,24 @@ def measure_capabilities(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def workload_full_run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Part of usage pattern 4: documents through secrets, personal data, QA generation, grounding, reward and the refiner; the counts of each step.
-    Not the whole: no recovery or diagnostics, no toxicity or diversity gate, no pages."""
+    """Usage pattern 4: documents and pages through exact deduplication, secrets, personal data and toxicity; questions and answers of which a fifth is damaged;
+    grounding with the adaptive probe, reward with the refiner, diversity. The counts of each step, and of each diagnosed mode."""
     from refinery.config import CurationConfig
+    from refinery.operators import hygiene
     from refinery.plans.run import Curation
     from refinery.queries.base import doc_records
 
-    cfg = CurationConfig(dedup="exact", secrets_gate=True, pii=True, task="qa", chunk_max_tokens=CHUNK, chunk_overlap_tokens=0, gates=("grounding", "reward"), refiner=True)
-    counts = Curation(spark, cfg).run(doc_records(spark, sf_dir).withColumn("id", F.col("id").cast("string"))).counts
-    return spark.createDataFrame([tuple(c[k] for k in ("step", "n_in", "n_accepted", "n_rejected")) for c in counts], "step string, n_in long, n_accepted long, n_rejected long")
+    docs = read(spark, sf_dir, "documents").join(read(spark, sf_dir, "labels"), "doc_id").where(F.col("doc_id") % 2 == 0)
+    pages = to_records(read(spark, sf_dir, "pages"), {"output": "html", "metadata": F.create_map(F.lit("format"), F.lit("html"))}, "language_modeling", "pages", ("page_id",))
+    records = doc_records(spark, sf_dir).withColumn("id", F.col("id").cast("string")).unionByName(pages)
+    cfg = CurationConfig(
+        max_tokens=1_000_000, dedup="exact", secrets_gate=True, pii=True, toxicity_gate=True, toxicity_judge=True, task="adversarial_qa", chunk_strategy="heading", chunk_max_tokens=CHUNK, chunk_overlap_tokens=0, gates=("grounding", "reward", "diversity"),
+        recovery="adaptive", probe_on=("grounding", "reward"), refiner=True,
+    )
+    result = Curation(spark, cfg, {"lexicon": hygiene.learn_lexicon(docs.select("text", "toxic"))}).run(records)
+    rows = [("step", c["step"], c["n_in"], c["n_accepted"], c["n_rejected"]) for c in result.counts]
+    rows += [("mode", m, v["n"], v["recovered"], v["n"] - v["recovered"]) for m, v in sorted(result.diagnostics.modes.items())]
+    return spark.createDataFrame(rows, "part string, name string, n_in long, n_accepted long, n_rejected long")
 
 
 @query()

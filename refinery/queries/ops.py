@@ -186,3 +186,66 @@ def stream_incremental_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     stream = spark.readStream.schema(schema).parquet(f"{sf_dir}/documents*.parquet")
     incremental.run_incremental(stream.select("doc_id", "text"), root)
     return spark.read.parquet(f"{root}/rows").select("doc_id", "reason")
+
+
+@query(r"""select p_partkey, upper(p_name) as shout, length(p_name)::int as n, replace(p_name, ' ', '_') as joined, substr(p_name, 2, 4) as part, lpad(p_partkey::varchar, 8, '0') as padded, position('a' in p_name)::int as first_a, reverse(p_name) as back, string_split(p_name, ' ')[1] as head,
+  levenshtein(p_name, p_brand)::int as far, repeat(p_brand, 2) as twice, trim(p_brand || '  ') as trimmed, starts_with(p_brand, 'Brand') as branded, translate(p_name, 'aeiou', '12345') as coded from part""")
+def ops_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    name, brand = F.col("p_name"), F.col("p_brand")
+    return read(spark, sf_dir, "part").select(
+        "p_partkey", F.upper(name).alias("shout"), F.length(name).alias("n"), F.replace(name, F.lit(" "), F.lit("_")).alias("joined"), F.substring(name, 2, 4).alias("part"), F.lpad(F.col("p_partkey").cast("string"), 8, "0").alias("padded"), F.instr(name, "a").alias("first_a"), F.reverse(name).alias("back"),
+        F.get(F.split(name, " "), F.lit(0)).alias("head"), F.levenshtein(name, brand).alias("far"), F.repeat(brand, 2).alias("twice"), F.trim(F.concat(brand, F.lit("  "))).alias("trimmed"), F.startswith(brand, F.lit("Brand")).alias("branded"), F.translate(name, "aeiou", "12345").alias("coded"),
+    )
+
+
+@query("""select o_orderkey, year(o_orderdate)::int as y, month(o_orderdate)::int as m, day(o_orderdate)::int as d, quarter(o_orderdate)::int as q, dayofyear(o_orderdate)::int as doy, isodow(o_orderdate)::int as dow, strftime(o_orderdate, '%Y/%m') as label, date_diff('day', date '1992-01-01', o_orderdate::date)::int as days,
+  last_day(o_orderdate::date)::varchar as month_end, (o_orderdate::date + interval 1 month)::date::varchar as next_month, date_trunc('month', o_orderdate)::date::varchar as month_start, epoch(o_orderdate)::bigint as seconds from orders""")
+def ops_dates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    d = F.col("o_orderdate").cast("date")
+    return read(spark, sf_dir, "orders").select(
+        "o_orderkey", F.year(d).alias("y"), F.month(d).alias("m"), F.dayofmonth(d).alias("d"), F.quarter(d).alias("q"), F.dayofyear(d).alias("doy"), (F.weekday(d) + 1).alias("dow"), F.date_format(d, "yyyy/MM").alias("label"), F.datediff(d, F.lit("1992-01-01").cast("date")).alias("days"), F.last_day(d).cast("string").alias("month_end"),
+        F.add_months(d, 1).cast("string").alias("next_month"), F.trunc(d, "month").cast("string").alias("month_start"), F.unix_timestamp(F.col("o_orderdate").cast("timestamp")).alias("seconds"),
+    )
+
+
+@query("select doc_id, k::int as k, word from (select doc_id, unnest(range(0, len(w))) as k, unnest(w) as word from (select doc_id, list_filter(string_split_regex(text, '\\s+'), lambda x: x <> '')[1:5] as w from documents))")
+def ops_table_function(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A table function in a lateral join: the first five words of each text."""
+    from refinery.functions import sql
+
+    sql.register(spark)
+    read(spark, sf_dir, "documents").createOrReplaceTempView("refinery_documents")
+    return spark.sql("select doc_id, w.k, w.word from refinery_documents, lateral first_words(text, 5) w")
+
+
+@query("""select doc_id, len(list_filter(string_split_regex(text, '\\s+'), lambda w: w <> ''))::bigint as n_tokens, sha256(trim(regexp_replace(lower(text), '\\s+', ' ', 'g'))) as key from documents""")
+def ops_sql_surface(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The engine's functions by name in SQL."""
+    from refinery.functions import sql
+
+    sql.register(spark)
+    read(spark, sf_dir, "documents").createOrReplaceTempView("refinery_documents")
+    return spark.sql("select doc_id, refinery_tokens(text) as n_tokens, refinery_key(text) as key from refinery_documents")
+
+
+@query("""select event_id, event_type from events where event_type = (select min(event_type) from events)""")
+def stream_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A stream without repeats: one type's events, read twice over as a stream of files with a watermark, leave once."""
+    root = f"{shared_dir(spark)}/distinct-{uuid.uuid4().hex}"
+    events = read(spark, sf_dir, "events").select("event_id", "event_type", "ts")
+    least = events.agg(F.min("event_type")).first()[0]
+    some = events.where(F.col("event_type") == least)
+    some.unionByName(some).write.parquet(f"{root}/in")
+    stream = spark.readStream.schema(some.schema).parquet(f"{root}/in")
+    out = incremental.distinct_within(stream, ["event_id"], "36500 days").select("event_id", "event_type")
+    out.writeStream.format("parquet").option("path", f"{root}/out").option("checkpointLocation", f"{root}/progress").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(out.schema).parquet(f"{root}/out")
+
+
+@query("""with m as (select max(ts) - interval 1 day as w from events) select event_id, ts < w as late from events, m""")
+def stream_late(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Records behind a watermark are marked, not dropped."""
+    events = read(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    mark = events.agg(F.max("ts") - F.expr("interval 1 day")).first()[0]
+    good, late = incremental.split_late(events, F.lit(mark))
+    return good.select("event_id", F.lit(False).alias("late")).unionByName(late.select("event_id", (F.col("reason") == "late_record").alias("late")))

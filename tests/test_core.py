@@ -123,10 +123,45 @@ def test_runs_find_pairs_at_the_threshold(spark):
     assert alike >= 100 and found >= 0.97 * alike
 
 
-def test_runs_refuse_settings_without_effect():
-    from refinery.plans.run import build
+def test_every_setting_is_read():
+    import pathlib
+    import re
 
-    assert [x.name for x in build(CurationConfig(task="qa", gates=("grounding",)))][-1] == "grounding_gate"
-    for odd in ({"recovery": "adaptive"}, {"recovery": "retry"}, {"probe_on": ("reward",)}, {"probe_max_calls": 3}, {"task": "preference"}, {"num_turns": 5}):
-        with pytest.raises(ValueError, match=next(iter(odd))):
-            build(CurationConfig(**odd))
+    root = pathlib.Path(__file__).resolve().parent.parent / "refinery"
+    code = "".join(f.read_text() for f in root.rglob("*.py") if f.name != "config.py" and f.parent.name != "llm")
+    assert [f.name for f in dataclasses.fields(CurationConfig) if not re.search(rf"cfg\.{f.name}\b", code)] == []
+
+
+def test_settings_of_tasks_and_recovery_are_checked():
+    for odd in ({"task": "no_such"}, {"encoder": "no_such"}, {"inject_types": ("x",)}, {"probe_on": ("diversity",)}, {"recovery": "adaptive", "probe_max_calls": 3}, {"prompt_templates": {"qa": "no placeholder"}}, {"prompt_templates": {"x": ""}}, {"reward_prompt": "none"}, {"chunk_overlap_tokens": 512}):
+        with pytest.raises(ValueError):
+            CurationConfig(**odd)
+    assert [x.name for x in build(CurationConfig(task="grpo", gates=("grounding",), recovery="adaptive"))][-2:] == ["generate_grpo", "grounding_gate"]
+
+
+def test_a_model_needs_an_endpoint():
+    from refinery.operators.tasks import backend_of
+
+    assert backend_of(CurationConfig(), "generator", {}) is None and backend_of(CurationConfig(), "judge", {}) is None
+    with pytest.raises(ValueError, match="api_base"):
+        backend_of(CurationConfig(judge_model="m"), "judge", {})
+    b = backend_of(CurationConfig(generator_model="m", api_base="http://localhost:1/v1", max_retries=7), "generator", {})
+    assert (b.model, b.retries) == ("m", 7)
+
+
+def test_the_injector_writes_no_phrase_of_its_own():
+    """What damages and the simulator put in comes from the tables: their code holds no text but names of kinds, prompts and columns."""
+    import ast
+    import inspect
+
+    from refinery.operators import gates, generation, recovery
+
+    def texts(f):
+        tree = ast.parse(inspect.getsource(f))
+        docs = {ast.get_docstring(n, clean=False) for n in ast.walk(tree) if isinstance(n, ast.FunctionDef)}
+        return {n.value for n in ast.walk(tree) if isinstance(n, ast.Constant) and isinstance(n.value, str)} - docs
+
+    injected = set().union(*(texts(f) for f in (generation.damaged, generation.inject, generation.simulate, generation.other_source)))
+    assert not [t for t in injected if " " in t.strip()]
+    judged = set().union(*(texts(f) for f in (gates.claim_scores, gates.dimension_scores, recovery._try, recovery.refine)))
+    assert not [t for t in judged if " " in t.strip() and len(t) > 12]

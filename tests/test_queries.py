@@ -2,6 +2,7 @@
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from refinery.queries import ORACLES, QUERIES
 
@@ -50,13 +51,141 @@ def test_cross_run_equals_one_run_per_order(spark, sf):
 
 
 def test_adaptive_beats_naive_and_costs_at_most_five(spark, sf):
+    """With the easing that the simulator has built in; the control is below."""
     rows = {r.type: r for r in QUERIES["measure_recall_gap"](spark, sf).collect()}
     assert set(rows) == {"overall", "contradicts_source", "parametric_drift", "domain_mismatch", "instruction_quality"}
-    assert all(r.adaptive >= r.naive for r in rows.values())
+    assert rows["overall"].adaptive > rows["overall"].naive
     modes = {r["mode"]: r for r in QUERIES["recover_probe_modes"](spark, sf).collect()}
     assert modes[None].calls <= 5 * modes[None].n
 
 
+def test_without_easing_the_gap_is_noise(spark, sf):
+    rows = {r.easing: r for r in QUERIES["measure_easing_control"](spark, sf).collect()}
+    assert abs(rows[0.0].gap_points) <= 12 and rows[1.0].gap_points > rows[0.0].gap_points
+
+
+def test_a_full_run_recovers_and_diagnoses(spark, sf):
+    rows = QUERIES["workload_full_run"](spark, sf).collect()
+    steps, modes = [r for r in rows if r.part == "step"], {r.name: r for r in rows if r.part == "mode"}
+    assert [r.name for r in steps] == ["schema_gate", "dedup_exact", "secrets_gate", "pseudonymize", "toxicity_gate", "generate_adversarial_qa", "grounding_gate", "reward_gate", "diversity_gate"]
+    assert all(r.n_in == r.n_accepted + r.n_rejected for r in steps) and all(b.n_in == a.n_accepted for a, b in zip(steps, steps[1:]) if not b.name.startswith("generate"))
+    assert sum(m.n_accepted for m in modes.values()) > 0 and set(modes) <= {"threshold_marginal", "generator_temperature", "generator_parametric", "instruction_quality", "response_quality", "domain_mismatch", "source_ambiguous", "near_duplicate", "unknown"}
+
+
+TASK_KINDS = {"qa": "instruction_following", "adversarial_qa": "instruction_following", "preference": "preference", "grpo": "grpo", "multiturn": "conversational", "evol": "instruction_following", "cot": "instruction_following", "inject": "instruction_following"}
+
+
+@pytest.mark.parametrize("task", sorted(TASK_KINDS))
+def test_every_task_runs(task, spark, sf):
+    from refinery.config import CurationConfig
+    from refinery.plans.run import Curation
+    from refinery.queries.base import doc_records
+
+    docs = doc_records(spark, sf).limit(25).withColumn("id", F.col("id").cast("string"))
+    cfg = CurationConfig(task=task, chunk_strategy="fixed", chunk_max_tokens=120, chunk_overlap_tokens=10, extract_tables=True, num_questions=2, difficulty="hard", score_responses=True, num_responses=3, evolve_strategies=("deepen",), evolve_answer=True, num_turns=2, inject_rate=0.5)
+    rows = Curation(spark, cfg).run(docs).passed.collect()
+    assert rows and {r.task_type for r in rows} == {TASK_KINDS[task]} and all(r.input and r.provenance_chain[-1].step == f"generate_{task}" for r in rows)
+    if task == "grpo":
+        assert all(len(r.responses) == len(r.reward_scores) == 3 for r in rows)
+
+
+def scripted_backend(answer):
+    from refinery.operators.generation import Backend
+
+    class Scripted(Backend):
+        model = "scripted"
+
+        def generate(self, prompt, temperature):
+            return {"text": answer(prompt, temperature), "model": self.model, "prompt_tokens": len(prompt.split()), "completion_tokens": 1, "latency": 0.0}
+
+    return Scripted()
+
+
+ANSWERED = {
+    "qa": '[{"question": "What?", "answer": "This."}]', "adversarial_qa": 'Sure: [{"question": "What?", "answer": "This."}]', "preference": '{"question": "What?", "chosen": "This.", "rejected": "That."}', "grpo": "This.", "evol": "What, and why?", "cot": "First this, then that.",
+    "multiturn": '[{"role": "user", "content": "What?"}, {"role": "assistant", "content": "This."}]',
+}
+
+
+@pytest.mark.parametrize("task", sorted(ANSWERED))
+def test_tasks_over_a_backend(task, spark, tmp_path):
+    """Each task through a backend and the ledger; answers that can't be read end as rejected records with the raw answer in their chain."""
+    from refinery.config import CurationConfig
+    from refinery.plans.run import Curation
+    from refinery.records import to_records
+
+    texts = [(k, " ".join(f"w{k}_{i}" for i in range(20)) + ("." if k else " unreadable.")) for k in range(4)]
+    records = to_records(spark.createDataFrame(texts, "k long, t string"), {"output": "t"}, "language_modeling", "t", ("k",))
+    answer = ANSWERED[task]
+    backend = scripted_backend(lambda prompt, t: "" if "unreadable" in prompt else answer)
+    cfg = CurationConfig(task=task, chunk_strategy="paragraph", num_questions=1, preference_mode="single_call", dialogue_mode="single_call", num_responses=2, evolve_strategies=("deepen",), ledger_dir=str(tmp_path / "ledger"), output_dir=str(tmp_path / "out"), parse_retries=1)
+    result = Curation(spark, cfg, {"generator_backend": backend}).run(records)
+    good, bad = result.passed.collect(), [r for r in result.rejected.collect() if r.rejection_reason == "generation_parse_failed"]
+    assert len(good) == 3 and len(bad) == 1 and "raw_response" in bad[0].provenance_chain[-1].notes and bad[0].rejecting_step == f"generate_{task}"
+    assert all(r.task_type == TASK_KINDS[task] and "call" in r.provenance_chain[-1].notes for r in good)
+    assert result.manifest["tokens"]["scripted"]["calls"] >= 5 and result.manifest["tokens"]["scripted"]["prompt_tokens"] > 0
+    with pytest.raises(ValueError, match="call_budget"):
+        Curation(spark, cfg.patch({"ledger_dir": str(tmp_path / "other"), "call_budget": 2}), {"generator_backend": backend}).run(records)
+
+
+def test_two_pass_and_turn_by_turn_over_a_backend(spark, tmp_path):
+    from refinery.config import CurationConfig
+    from refinery.plans.run import Curation
+    from refinery.records import to_records
+
+    records = to_records(spark.createDataFrame([(1, " ".join(f"w{i}" for i in range(20)) + ".")], "k long, t string"), {"output": "t"}, "language_modeling", "t", ("k",))
+    pair = scripted_backend(lambda prompt, t: "Poor." if t > 1 else '{"question": "What?", "chosen": "This.", "rejected": "x"}')
+    base = {"chunk_strategy": "paragraph", "ledger_dir": str(tmp_path / "ledger")}
+    row = Curation(spark, CurationConfig(task="preference", **base), {"generator_backend": pair}).run(records).passed.first()
+    assert (row.chosen, row.rejected) == ("This.", "Poor.")
+    talk = scripted_backend(lambda prompt, t: f"said {prompt.count('user:') + prompt.count('assistant:')}")
+    row = Curation(spark, CurationConfig(task="multiturn", num_turns=2, **base), {"generator_backend": talk}).run(records).passed.first()
+    assert [t["content"] for t in __import__("json").loads(row.metadata["turns"])] == ["said 0", "said 1", "said 2", "said 3"]
+
+
+def test_judges_and_probes_over_a_backend(spark, tmp_path):
+    """A separate judge behind a backend decides both gates; the probe's strict prompt repairs what it fails; the rewrite follows the judge's weakest dimension."""
+    from refinery.config import CurationConfig
+    from refinery.plans.run import Curation
+    from refinery.records import to_records
+
+    rows = [(1, "Q one?", "good answer", "The source."), (2, "Q two?", "bad answer", "The source."), (3, "Q three?", "weak answer", "The source.")]
+    records = to_records(spark.createDataFrame(rows, "k long, q string, a string, s string"), {"instruction": "q", "output": "a", "input": "s"}, "instruction_following", "t", ("k",))
+
+    def judge(prompt, t):
+        if prompt.startswith("Score"):
+            return '{"scores": {"depth": %s}, "overall": 0.9, "weaknesses": "thin"}' % ("0.1" if "weak answer" in prompt else "0.9")
+        return '{"score": %s, "supported": [], "unsupported": []}' % ("0.2" if "bad" in prompt else "0.9")
+
+    generator = scripted_backend(lambda prompt, t: "rewritten" if prompt.startswith("Rewrite") else "good new answer" if "only statements" in prompt else "bad again")
+    cfg = CurationConfig(schema_gate=False, gates=("grounding", "reward"), recovery="adaptive", refiner=True, reward_dimensions=("depth",), judge_model="scripted", ledger_dir=str(tmp_path / "ledger"), output_dir=str(tmp_path / "out"))
+    result = Curation(spark, cfg, {"generator_backend": generator, "judge_backend": scripted_backend(judge)}).run(records)
+    got = {r.instruction: r for r in result.table.collect()}
+    assert got["Q one?"].status == "accepted" and got["Q two?"].output == "good new answer" and got["Q two?"].status == "accepted"
+    assert result.diagnostics.modes["generator_parametric"] == {"n": 1, "recovered": 1, "calls": 1} and result.diagnostics.modes["response_quality"]["n"] == 1
+    notes = {p.step: p.notes for p in got["Q two?"].provenance_chain}
+    assert notes["recover_adaptive"]["mode"] == "generator_parametric" and (tmp_path / "out" / "diagnostic_summary.json").exists()
+
+
+def test_custom_gates_and_layout_documents(spark, tmp_path):
+    from refinery.config import CurationConfig
+    from refinery.operators import gates
+    from refinery.plans.run import Curation
+    from refinery.records import reject
+    from refinery.sources.readers import SourceSpec
+
+    (tmp_path / "a.html").write_text("<h1>One</h1><p>" + "alpha beta gamma delta epsilon zeta. " * 4 + "</p><h2>Two</h2><p>" + "eta theta iota kappa lambda mu. " * 4 + "</p>")
+    gates.register_gate("short", lambda df, cfg, ctx: reject(df, F.length("output") < 160, "schema_too_short", "short"))
+    try:
+        spec = SourceSpec("documents", str(tmp_path / "*.html"), {"extractor": lambda b: b.decode().replace("<h1>", "# ").replace("<h2>", "\n# ").replace("</h1><p>", "\n").replace("</h2><p>", "\n").replace("</p>", "")}, mapping={"output": "text"}, task_type="language_modeling")
+        made = Curation(spark, CurationConfig(sources=(spec,), gates=("short",), min_tokens=1)).run()
+        assert [r.metadata["heading"] for r in made.passed.orderBy("output").collect()] == ["One"] and made.rejected.count() == 1
+        asked = Curation(spark, CurationConfig(sources=(spec,), pdf_output_mode="qa", min_tokens=1)).run().passed.collect()
+        assert asked and all(r.instruction.endswith("?") and r.input for r in asked)
+    finally:
+        gates.CUSTOM_GATES.clear()
+
+
 def test_hygiene_batches(spark, sf):
     rows = {r.batch: r for r in QUERIES["workload_hygiene_184"](spark, sf).collect()}
     assert rows["secrets"].secrets_rejected == rows["secrets"].n
