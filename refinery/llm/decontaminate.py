@@ -11,8 +11,9 @@ whatever its fingerprint. A window at the threshold lacks at most 1 - threshold
 (repeats counted) it holds at least one, and no pair is lost. The candidates' exact similarity then decides: the sum of the lesser
 over the sum of the greater multiplicity of each five-word shingle. Items with equal words are compared once.
 
-The benchmark side is broadcast only below a counted bound, else joined by shuffle. Documents' texts are shuffled only where
-the hits' table is too large to broadcast.
+The benchmark side is broadcast only below a counted bound, else joined by shuffle. Documents with hits grow with the table, so they meet the
+texts in a merge join at every size, which shuffles the texts once; on tables above Spark's own threshold its runtime Bloom filter keeps
+texts without hits out of that shuffle.
 
 Defined results: null or empty texts and items match nothing. Items of fewer than five words are one shingle, and match texts' windows
 of their own size. Repeated documents and items are judged each; among equal similarities the least item_id is named. Empty
@@ -136,7 +137,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, threshold: float = MIN_S
     at = hits.groupBy("doc_id", "mark", "n_words", "item_size", "gram").agg(F.array_sort(F.collect_set("pos")).alias("places"))
     at = at.withColumn("starts", enough(threshold)).where(F.size("starts") > 0)
     at = at.groupBy("doc_id", "mark").agg(F.flatten(F.collect_list(F.transform("starts", lambda s: F.struct(F.col("item_size"), s.alias("start"))))).alias("places"))
-    texts = rows.withColumn("mark", mark).alias("r").join(at.alias("h"), F.col("r.doc_id").eqNullSafe(F.col("h.doc_id")) & (F.col("r.mark") == F.col("h.mark")))
+    texts = rows.withColumn("mark", mark).alias("r").join(at.hint("merge").alias("h"), F.col("r.doc_id").eqNullSafe(F.col("h.doc_id")) & (F.col("r.mark") == F.col("h.mark")))
     # windows leave a row one by one, without the row's words; equal windows of a row count once, at their first place
     cut = lambda w: F.transform("places", lambda p: F.struct(p["item_size"].alias("item_size"), p["start"].alias("start"), F.slice(w, p["start"] + 1, p["item_size"]).alias("window")))
     windows = texts.select("r.doc_id", "r.mark", F.inline(let(words_col(F.col("text")), cut)).alias("item_size", "start", "window"))
