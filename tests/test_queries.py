@@ -175,7 +175,7 @@ def test_custom_gates_and_layout_documents(spark, tmp_path):
     from refinery.sources.readers import SourceSpec
 
     (tmp_path / "a.html").write_text("<h1>One</h1><p>" + "alpha beta gamma delta epsilon zeta. " * 4 + "</p><h2>Two</h2><p>" + "eta theta iota kappa lambda mu. " * 4 + "</p>")
-    gates.register_gate("short", lambda df, cfg, ctx: reject(df, F.length("output") < 160, "schema_too_short", "short"))
+    gates.register_gate("short", lambda df, cfg, ctx: reject(df, F.length("output") < 145, "schema_too_short", "short"))
     try:
         spec = SourceSpec("documents", str(tmp_path / "*.html"), {"extractor": lambda b: b.decode().replace("<h1>", "# ").replace("<h2>", "\n# ").replace("</h1><p>", "\n").replace("</h2><p>", "\n").replace("</p>", "")}, mapping={"output": "text"}, task_type="language_modeling")
         made = Curation(spark, CurationConfig(sources=(spec,), gates=("short",), min_tokens=1)).run()
