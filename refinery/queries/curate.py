@@ -273,7 +273,7 @@ def hygiene_toxicity_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def hygiene_batches(spark: SparkSession, sf_dir: str) -> DataFrame:
     """184 samples in four batches: 46 clean documents by hash rank, with a secret, personal data, insults, or nothing put in."""
-    docs = read(spark, sf_dir, "documents").join(read(spark, sf_dir, "labels").where("quality = 1 and toxic = 0 and doc_id % 2 = 1"), "doc_id", "left_semi")  # the lexicon learns from the even ones
+    docs = labelled(spark, sf_dir).where("half = 1 and quality = 1 and toxic = 0")  # the lexicon learns from half 0
     docs = docs.where(F.size(hygiene.secret_counts(F.col("text"))) == 0).where(F.size(hygiene.pii_findings(F.col("text"))) == 0)
     few = docs.orderBy(F.md5(F.concat(F.lit("184|"), F.col("doc_id").cast("string"))), "doc_id").limit(184).select("doc_id", "text")  # the feature: a sample of 184
     from pyspark.sql import Window
@@ -288,7 +288,7 @@ def workload_hygiene_184(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Per batch and gate: rejected or changed, and how many rows each gate saw; with the clean batch as the control."""
     from refinery.records import to_records
 
-    lexicon = hygiene.learn_lexicon(labelled(spark, sf_dir).where("doc_id % 2 = 0").select("doc_id", "text", "toxic"))
+    lexicon = hygiene.learn_lexicon(labelled(spark, sf_dir).where("half = 0").select("doc_id", "text", "toxic"))
     made = to_records(hygiene_batches(spark, sf_dir), {"output": "text", "metadata": F.create_map(F.lit("batch"), "batch")}, "language_modeling", "batches", ("doc_id",))
     out, report = hygiene.hygiene(made, lexicon, CurationConfig(secrets_gate=True, pii=True, toxicity_gate=True))
     out = out.withColumn("batch", F.col("metadata")["batch"])
