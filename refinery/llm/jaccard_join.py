@@ -7,7 +7,8 @@ most `LIMIT` sets is compared by brute force. A larger one is dealt at random in
 block, blocks are compared by brute force, and buckets that are then still in several classes draw again, one step down the path.
 Runs repeat until a pair at the threshold is missed with a probability under `1 - recall`.
 
-Work and output grow in proportion to a group, not with its square: a bucket gives a tree of verified links at most, never all pairs.
+Classes and output grow in proportion to a group, not with its square: a bucket gives a tree of verified links at most, never all pairs. Where the number of all
+links is asked for (`every`), the pairs of each class are compared once more, at the end; they are counted, never listed.
 Comparison has two steps: sketches (one-permutation minhash, a margin below the threshold) tell which sets of a block may have a
 partner there, then the whole token sets of those decide, where they are more than CROWD in parts that share leaders. The first runs are decided before the others, and a bucket whose
 sets are all in one class by then has nothing left to tell, so a large group of near copies is compared in the first runs only.
@@ -35,6 +36,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -45,6 +47,8 @@ from refinery.llm.graph import components, merge_labels
 LIMIT, BLOCK, BINS, DEPTH = 8192, 4096, 128, 4
 #: Most sets that are compared whole in one block; sets in a part of a more crowded one.
 CROWD, PART = 1024, 512
+#: Largest class whose links are counted in one task; half of it is a part of a larger one.
+WHOLE = 2048
 #: Leaders of a large bucket; runs that are decided before the others; draws below a split, as a multiple of those above.
 LEADERS, EARLY, FURTHER = 4, 2, 1.25
 #: Bits of the filter of candidates (8 MB); words that are shingled at once, unless one text has more.
@@ -83,18 +87,22 @@ def sketches_of(tokens: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
     return np.where(least == FULL, np.uint16(0), bits).reshape(n, BINS)
 
 
-def partners(sketches: np.ndarray, threshold: float) -> np.ndarray:
-    """Which sets may be similar to another of the block: estimated similarity a margin of 4.5 deviations below the threshold at least."""
+def relatives(sketches: np.ndarray, threshold: float) -> np.ndarray:
+    """The group of each set of the block: sets are joined whose estimated similarity is a margin of 4.5 deviations below the threshold at least; -1 for a
+    set without such a partner. No similar pair is in two groups, but for the margin."""
     n = len(sketches)
-    out, filled = np.zeros(n, dtype=bool), sketches != 0
+    group, filled, paired = np.arange(n), sketches != 0, np.zeros(n, dtype=bool)
     for x in range(n - 1):
         rest, one = sketches[x + 1 :], sketches[x]
         either = np.maximum((filled[x] | filled[x + 1 :]).sum(axis=1), 1)
         about = ((one == rest) & filled[x]).sum(axis=1) / either
-        near = about >= threshold - 4.5 * np.sqrt(0.2 * 0.8 / either)
-        out[x] |= near.any()
-        out[x + 1 :] |= near
-    return out
+        near = np.flatnonzero(about >= threshold - 4.5 * np.sqrt(0.2 * 0.8 / either)) + x + 1
+        if len(near):
+            paired[x] = paired[near] = True
+            joined = np.unique(group[near[group[near] != group[x]]])
+            if len(joined):
+                group[np.isin(group, joined)] = group[x]
+    return np.where(paired, group, -1)
 
 
 def shingle_sets(texts: list[list[bytes]], hashes: WordHashes, width: int) -> list[np.ndarray]:
@@ -154,10 +162,12 @@ def _groups(batches: Iterator[pa.RecordBatch], key: list[str], others: list[str]
         yield now, held
 
 
-def overlaps(sets: list[np.ndarray]) -> np.ndarray:
-    """Sizes of the intersections of all pairs of sets, by products of incidence columns, a strip of tokens at a time."""
+def overlaps(sets: list[np.ndarray], first: int | None = None) -> np.ndarray:
+    """Sizes of the intersections of all pairs of sets, by products of incidence columns, a strip of tokens at a time. `first`: of the first sets, so many,
+    with the others only."""
     n = len(sets)
-    total = np.zeros((n, n), dtype=np.float32)
+    rows, columns = (slice(None), slice(None)) if first is None else (slice(first), slice(first, None))
+    total = np.zeros((n, n) if first is None else (first, n - first), dtype=np.float32)
     _, token, times = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     owner = np.repeat(np.arange(n), [len(s) for s in sets])
     shared = times[token] > 1
@@ -169,7 +179,7 @@ def overlaps(sets: list[np.ndarray]) -> np.ndarray:
         lo, hi = np.searchsorted(token, (at, at + 2048))
         strip = np.zeros((n, 2048), dtype=np.float32)
         strip[owner[lo:hi], token[lo:hi] - at] = 1
-        total += strip @ strip.T
+        total += strip[rows] @ strip[columns].T
     return total
 
 
@@ -310,7 +320,8 @@ def _all_blocks(met: DataFrame, block: int) -> DataFrame:
 
 
 def _with_partners(blocks: DataFrame, sketches: DataFrame, threshold: float) -> DataFrame:
-    """block, early, uid of the sets that may have a similar one in their block, by sketches."""
+    """block, early, uid of the sets that may have a similar one in their block, by sketches. The block is now a group of them, named by its members: what else
+    shared the bucket is not shipped with it, and a group that met in many buckets is compared once."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out: tuple[list, list, list] = ([], [], [])
@@ -318,21 +329,27 @@ def _with_partners(blocks: DataFrame, sketches: DataFrame, threshold: float) ->
         def batch() -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array(out[0], pa.int64()), pa.array(out[1], pa.bool_()), pa.array(out[2], pa.binary())], names=["block", "early", "uid"])
 
-        for (block, early), (uids, sketches) in _groups(batches, ["block", "early"], ["uid", "sketch"]):  # one early a block
+        for (_, early), (uids, sketches) in _groups(batches, ["block", "early"], ["uid", "sketch"]):  # one early a block
             once = [k for k, u in enumerate(uids) if not k or u != uids[k - 1]]  # sorted by uid
             if len(once) < 2:
                 continue
             matrix = np.frombuffer(b"".join(sketches[k] for k in once), dtype=np.uint16).reshape(len(once), BINS)
-            for k in np.flatnonzero(partners(matrix, threshold)).tolist():
-                for held, value in zip(out, (block, early, uids[once[k]])):
-                    held.append(value)
+            groups: dict[int, list[bytes]] = {}
+            for k, group in enumerate(relatives(matrix, threshold).tolist()):
+                if group >= 0:
+                    groups.setdefault(group, []).append(uids[once[k]])
+            for members in groups.values():
+                out[0].extend([xxhash.xxh3_64_intdigest(b"".join(members)) - 2**63] * len(members))
+                out[1].extend([early] * len(members))
+                out[2].extend(members)
             if len(out[0]) > 10_000:
                 yield batch()
                 out = ([], [], [])
         yield batch()
 
     rows = blocks.join(sketches.hint("merge"), "uid").select("block", "early", "uid", "sketch")
-    return rows.repartition("block").sortWithinPartitions("block", "early", "uid").mapInArrow(run, "block long, early boolean, uid binary")
+    rows = rows.repartition("block").sortWithinPartitions("block", "early", "uid").mapInArrow(run, "block long, early boolean, uid binary")
+    return rows.groupBy("block", "uid").agg(F.max("early").alias("early")).select("block", "early", "uid")
 
 
 def _links(live: DataFrame, sets: DataFrame, labels: DataFrame | None, threshold: float) -> DataFrame:
@@ -363,17 +380,62 @@ def _links(live: DataFrame, sets: DataFrame, labels: DataFrame | None, threshold
     return rows.mapInArrow(run, "a binary, b binary, similarity double").select(*ordered, "similarity").distinct()
 
 
+def similar_in(x: list[np.ndarray], y: list[np.ndarray] | None, threshold: float) -> tuple[np.ndarray, np.ndarray]:
+    """How many sets of y are similar to each of x, and of x to each of y. Without y: of the other sets of x, and nothing."""
+    if y is None and len(x) == 2:
+        shared = len(np.intersect1d(*x, assume_unique=True))
+        alike = int(shared >= threshold * (len(x[0]) + len(x[1])) / (1 + threshold) - 1e-9)
+        return np.array([alike, alike]), np.zeros(0, dtype=np.int64)
+    n = len(x)
+    sizes = np.array([len(s) for s in (*x, *(y or ()))], dtype=np.float64)
+    if y is None:
+        shared, left, right = overlaps(x), sizes, sizes
+    else:
+        shared, left, right = overlaps([*x, *y], n), sizes[:n], sizes[n:]
+    alike = shared >= threshold * (left[:, None] + right) / (1 + threshold) - 1e-9
+    if y is None:
+        np.fill_diagonal(alike, False)
+        return alike.sum(axis=1), np.zeros(0, dtype=np.int64)
+    return alike.sum(axis=1), alike.sum(axis=0)
+
+
+def _all_links(labels: DataFrame, sets: DataFrame, threshold: float) -> DataFrame:
+    """uid, similar: how many other texts are similar to each text of a class. Similar texts are in one class, so each pair of a class is
+    compared once: classes up to WHOLE texts in one task, larger ones in all pairs of their parts."""
+    sizes = stage(labels.groupBy("label").agg(F.count(F.lit(1)).alias("cnt")).where("cnt > 1"), "sizes")
+    rows = labels.select(F.col("node").alias("uid"), "label").join(sizes.hint("merge"), "label")
+    parts = F.when(F.col("cnt") <= WHOLE, 1).otherwise(F.ceil(F.col("cnt") / (WHOLE // 2))).cast("int")
+    rows = rows.withColumn("parts", parts).withColumn("own", F.pmod(F.xxhash64("uid", F.lit(3)), F.col("parts")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    rows = rows.select(F.xxhash64("label", F.least("own", "other"), F.greatest("own", "other")).alias("block"), F.signum(F.col("own").cast("double") - F.col("other")).cast("int").alias("side"), "uid")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, (sides, uids, tokens) in _groups(batches, ["block"], ["side", "uid", "tokens"]):  # side 0: a part with itself; -1 and 1: one with another
+            held = [np.frombuffer(s, dtype=np.uint64) for s in tokens]
+            n = sum(s <= 0 for s in sides)
+            if sides[0] == 0 or n in (0, len(held)):
+                if sides[0] or len(held) < 2:
+                    continue
+                found = similar_in(held, None, threshold)
+            else:
+                found = similar_in(held[:n], held[n:], threshold)
+            yield pa.RecordBatch.from_arrays([pa.array(uids, pa.binary()), pa.array(np.concatenate(found).astype(np.int64))], names=["uid", "similar"])
+
+    rows = rows.join(sets.hint("merge"), "uid").select("block", "side", "uid", "tokens").repartition("block").sortWithinPartitions("block", "side", "uid")
+    return rows.mapInArrow(run, "uid binary, similar long").groupBy("uid").agg(F.sum("similar").alias("similar"))
+
+
 def _mixed(rows: DataFrame, key: str) -> DataFrame:
     """The keys whose sets are in more than one class."""
     return stage(rows.groupBy(key).agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low <> high").select(key), "mixed")
 
 
-def similarity_classes(docs: DataFrame, threshold: float = MIN_SIMILARITY, width: int = SHINGLE_WORDS, recall: float = 0.999) -> DataFrame:
+def similarity_classes(docs: DataFrame, threshold: float = MIN_SIMILARITY, width: int = SHINGLE_WORDS, recall: float = 0.999, every: bool = False) -> DataFrame:
     """One row per row of docs (doc_id, text): doc_id, text_id (least id with the same words; the text's representative),
     class_id (least id of the texts that similarities of at least the threshold connect), n_links (links of the text that were
     verified and kept, and its other copies), link_id and link_similarity (one of the kept links: the text_id of a text whose exact
     similarity with this one is at least the threshold; null without any). Kept links connect each class; links that follow
-    from them inside a class are not listed."""
+    from them inside a class are not listed. every: n_links counts all similar texts, listed or not, and the other copies: each pair of a class is
+    compared, which is square in a class, spread over tasks."""
     runs = runs_for(recall)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     first = stage(_draw_first(rows, runs, threshold, width), "first")
@@ -422,6 +484,7 @@ def similarity_classes(docs: DataFrame, threshold: float = MIN_SIMILARITY, width
         if met.isEmpty():
             break
     drop_stage(met)
+    similar = stage(_all_links(labels, sets, threshold), "similar") if every else None
     drop_stage(sets)
     links = edges[0]
     for more in edges[1:]:
@@ -433,7 +496,9 @@ def similarity_classes(docs: DataFrame, threshold: float = MIN_SIMILARITY, width
     linked = linked.join(both, "uid").select("uid", "label", "links", F.col("one.other").alias("other"), F.col("one.similarity").alias("link_similarity"))
     linked = stage(linked, "linked").join(stage(heads, "heads").hint("merge"), "label").join(texts.select(F.col("uid").alias("other"), F.col("text_id").alias("link_id")).hint("merge"), "other")
     classes = texts.join(linked.select("uid", "class_id", "links", "link_id", "link_similarity"), "uid", "left").where("copies > 1 or class_id is not null")
-    n_links = (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).cast("long").alias("n_links")
+    if every:
+        classes = classes.join(similar.hint("merge"), "uid", "left")
+    n_links = (F.coalesce("similar" if every else "links", F.lit(0)) + F.col("copies") - 1).cast("long").alias("n_links")
     classes = stage(classes.select(F.col("uid").alias("key"), "text_id", F.coalesce("class_id", "text_id").alias("class_id"), n_links, "link_id", "link_similarity"), "classes")
     own = F.coalesce(F.col("uid"), F.unhex(F.md5(F.concat(F.lit("none"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))))
     out = ids.withColumn("key", own).join(classes.hint("merge"), "key", "left")
