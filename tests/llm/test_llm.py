@@ -316,6 +316,21 @@ def test_language_stage_rejects_gibberish_and_unseen_languages(spark, sf):
     assert len(ids(unseen) & kept) <= 0.1 * unseen.count() and len(ids(known) & kept) >= 0.98 * known.count()
 
 
+def test_language_learns_from_all_labelled_rows(spark):
+    """Models and limits change with the last labelled row of a table of more than 20,000 a language: no sample of it stands for the rest."""
+    import numpy as np
+
+    plain = spark.range(21_000).select(F.lit("we had tea and bread at home").alias("text"), F.lit("en").alias("lang"))
+    rare = spark.range(1_100).select(F.lit("zzyzx qoph wyvern zzyzx").alias("text"), F.lit("en").alias("lang"))
+    known = language.profiles(plain.unionByName(rare))
+    once, other = (language.profiles(x)["en"] for x in (plain.limit(1), rare))
+    assert np.allclose(known["en"], 21_000 * once + other, atol=1e-2)
+    low = language.low_likeness(plain.unionByName(rare), known)[("en", 0)]
+    likes = [language.Classifier(known).likeness(language.Encoder().encode("we had tea and bread at home"), "en")] * 21_000
+    likes += [language.Classifier(known).likeness(language.Encoder().encode(r.text), "en") for r in rare.limit(1).collect()] * 1_100
+    assert abs(low - np.quantile(likes, language.LOW)) < 1e-3
+
+
 def test_token_counts_after_random_edits():
     counter, rng = token_counts.Counter(), random.Random(5)
     texts = ["  a  b\n\n c's x'll", "", "x", "   ", "Straße 12-3 naïve b c \x1c d 漢字 🙂 " * 40, "word " * 2000]
