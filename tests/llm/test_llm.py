@@ -541,6 +541,27 @@ def test_lm_learns_pairs_of_words_without_a_slot(spark):
     assert same.score > crossed.score + 0.5
 
 
+def test_lm_counts_leave_no_row_a_pair(spark, tmp_path, monkeypatch):
+    """Texts of distinct pairs: what a run leaves in the shared folder is less than the texts, since no table of pairs and no row a token is written; and a slice's
+    answers, cut into many slices and buckets, are the counts of all training texts."""
+    import random
+
+    words = [f"w{k}" for k in range(3000)]
+    rows = [(i, " ".join(random.Random(i).choices(words, k=400)) + (" rare%d" % (i // 2))) for i in range(500)]
+    monkeypatch.setattr(lm_score, "SLICE", 100_000)
+    monkeypatch.setattr(lm_score, "BUCKET", 30_000)
+    monkeypatch.setattr(lm_score, "HEAD", 2000)
+    monkeypatch.setattr("refinery.llm.common.shared_dir", lambda spark: str(tmp_path))
+    got = {r.doc_id: r for r in lm_score.lm_scores(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    left = sum(f.stat().st_size for f in tmp_path.rglob("*.parquet"))
+    assert left < 0.8 * sum(len(t) for _, t in rows)
+    texts = {i: lm_score.tokens_of(t) for i, t in rows}
+    c = Counter(w for i, t in texts.items() if zlib.crc32(str(i).encode()) % 10 for w in t)
+    for i, t in texts.items():
+        assert got[i].n_known == sum(w in c for w in t)
+        assert abs(got[i].base_score - sum(math.log10((c[w] + 0.1) / (sum(c.values()) + 0.1 * (len(c) + 1))) for w in t)) < 1e-6 * len(t)
+
+
 def test_lm_training_is_not_cut():
     """Sizes chosen for the model, not for the check's disk: pairs of codes spread over the rows, and ten rounds of training."""
     import numpy as np
